@@ -28,7 +28,7 @@ from cutlearn.llm.session import cut, shuffle_parts
 
 WEIGHTS = (5, 2, 1)
 TOTAL_SHARE, MOST = 1.5, 2.0
-BLOCK = 20_000
+BLOCK = 1_000
 SEED = 7
 EPS = 1e-9
 WORD = r"[^\x20\x09-\x0D]+"
