@@ -341,7 +341,9 @@ def removed_ranges(docs: DataFrame, shard_segments: int = SHARD_SEGMENTS) -> Dat
     rows.mapInArrow(_anchor_rows, ANCHORS).write.parquet(path)
     every = spark.read.schema(ANCHORS).parquet(path)
     seen = every.groupBy("ah").agg(F.count("*").alias("c"), F.min("sh").alias("lo"), F.max("sh").alias("hi")).where("c > 1")
-    again = cut(every.join(seen.select("ah", (F.col("lo") != F.col("hi")).alias("differ")), "ah"))
+    # both sides of the join have exchanges of their own, so Spark can split an anchor that very many windows share
+    seen = cut(seen.select("ah", (F.col("lo") != F.col("hi")).alias("differ")))
+    again = cut(every.join(seen, "ah"))
     drop_path(spark, path)
     segs = cut(
         again.groupBy("ah", "sh", "differ").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "th", "pos", "nwin")).alias("rep"))
