@@ -6,25 +6,26 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from cutlearn.plans.grid import GridSpec
 from cutlearn.plans.layout import Layout
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def haversine_udf(lon1: pd.Series, lat1: pd.Series, lon2: pd.Series, lat2: pd.Series) -> pd.Series:
     a, b, c, d = (np.radians(v) for v in (lon1, lat1, lon2, lat2))
     return 2 * 6_371_008.8 * np.arcsin(np.sqrt(np.sin((d - b) / 2) ** 2 + np.cos(b) * np.cos(d) * np.sin((c - a) / 2) ** 2))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def gini_udf(n: pd.Series) -> float:
     v = np.sort(n.to_numpy(float))
     m = len(v)
     return float(2 * (np.arange(1, m + 1) * v).sum() / (m * v.sum()) - (m + 1) / m) if m and v.sum() else 0.0
 
 
-@F.udtf(returnType="part_id int, r0 int, r1 int, c0 int, c1 int")
+@F.udtf(returnType=T.StructType([T.StructField(c, T.IntegerType()) for c in ("part_id", "r0", "r1", "c0", "c1")]))
 class LayoutRects:
     """Rectangles of a layout given as JSON."""
 
@@ -55,15 +56,8 @@ def action_name(i: Column, j: Column, direction: Column) -> Column:
     return F.format_string("(%d,%d,%s)", i, j, F.when(direction == 0, F.lit("right")).otherwise(F.lit("down")))
 
 
-def wkb(x: Column, y: Column) -> Column:
-    """Little-endian WKB of a point, for engines with geometry types."""
-    def number(v: Column) -> Column:
-        return v.cast("double")
-
-    return F.call_function("st_asbinary", F.call_function("st_geomfromwkb", _wkb_bytes(number(x), number(y))))
-
-
-@F.pandas_udf("binary")
-def _wkb_bytes(x: pd.Series, y: pd.Series) -> pd.Series:
+@F.pandas_udf(T.BinaryType())
+def wkb(x: pd.Series, y: pd.Series) -> pd.Series:
+    """Little-endian WKB of points, for engines with geometry types."""
     head = (1).to_bytes(1, "little") + (1).to_bytes(4, "little")
     return pd.Series([head + np.array([a, b], "<f8").tobytes() for a, b in zip(x, y, strict=True)])

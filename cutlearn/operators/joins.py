@@ -156,7 +156,7 @@ def sweep_join(a: DataFrame, d: int, layout: Layout, spec: GridSpec) -> DataFram
             out.append(pd.DataFrame({"pid_a": p[i[hit]], "pid_b": rp[j[hit]], "d2": d2[hit]}))
         return pd.concat(out, ignore_index=True)
 
-    left, right = owners(a, spec, layout), replicas(a, spec, layout, d)
+    left, right = owners(a, spec, layout), replicas(a, spec, layout, d).toDF("pid", "x", "y", "part")  # fresh columns
     return left.groupBy("part").cogroup(right.groupBy("part")).applyInPandas(sweep, "pid_a long, pid_b long, d2 long")
 
 
