@@ -196,14 +196,15 @@ def item_blocks(benchmark: DataFrame, size: int = ITEMS_PER_BLOCK) -> Iterator[t
             yield [r.item_id for r in part], [r.text for r in part]
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, items_per_block: int = ITEMS_PER_BLOCK) -> DataFrame:
+def decontaminate(docs: DataFrame, benchmark: DataFrame, items_per_block: int = ITEMS_PER_BLOCK, prefix: str = "") -> DataFrame:
     """docs with ADDED (replacing columns of these names): the best item and its score, null and 0 without any seed.
-    Every further block of items is a further pass that keeps the better of its own and the former item."""
+    The prefix stands before the names added. Every further block of items is a further pass that keeps the better of its own and the former item."""
+    added_names = tuple(prefix + c for c in ADDED)
     sc = docs.sparkSession.sparkContext
-    texts_only, rows = docs.select("text"), docs.drop(*ADDED)
+    texts_only, rows = docs.select("text"), docs.drop(*added_names)
     kinds = (F.lit(False), F.lit(None).cast("long"), F.lit(0.0))
-    names, at = docs.drop(*ADDED).columns, docs.drop(*ADDED).columns.index("text")
-    rows, done = rows.select("*", *(k.alias(c) for k, c in zip(kinds, ADDED, strict=True))), False
+    names, at = docs.drop(*added_names).columns, docs.drop(*added_names).columns.index("text")
+    rows, done = rows.select("*", *(k.alias(c) for k, c in zip(kinds, added_names, strict=True))), False
     for ids, texts in item_blocks(benchmark, items_per_block):
         index = index_items(ids, texts)
         counted = texts_only.mapInArrow(_frequency_counter(sc.broadcast(index)), "seed long, docs long").groupBy("seed").agg(F.sum("docs").alias("docs"))
@@ -212,17 +213,18 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, items_per_block: int =
             frequency[seed] = n
         index = index_items(ids, texts, rare_seeds(index, frequency))
         before = rows if done else rows.select(*names)
-        own = [f"_{c}" for c in ADDED]
-        added = zip(own if done else ADDED, (T.BooleanType(), T.LongType(), T.DoubleType()), strict=True)
+        own = [f"_new_{c}" for c in ADDED]
+        added = zip(own if done else added_names, (T.BooleanType(), T.LongType(), T.DoubleType()), strict=True)
         fields = T.StructType([*before.schema.fields, *(T.StructField(c, kind) for c, kind in added)])
         rows = before.mapInArrow(_matcher(sc.broadcast(index), at, fields.names), fields)
         if done:
-            better = (F.col("_score") > F.col("score")) | (F.col("_score") == F.col("score")) & (F.col("_item_id") < F.coalesce("item_id", F.lit((1 << 63) - 1)))
-            rows = rows.select(*names, *(F.when(better, F.col(o)).otherwise(F.col(c)).alias(c) for o, c in zip(own, ADDED, strict=True)))
+            score, item = F.col(added_names[2]), F.coalesce(added_names[1], F.lit((1 << 63) - 1))
+            better = (F.col("_new_score") > score) | (F.col("_new_score") == score) & (F.col("_new_item_id") < item)
+            rows = rows.select(*names, *(F.when(better, F.col(o)).otherwise(F.col(c)).alias(c) for o, c in zip(own, added_names, strict=True)))
         done = True
     return rows
 
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """docs without the contaminated rows; no join."""
-    return decontaminate(docs, benchmark).where("not contaminated").select(*docs.columns)
+    return decontaminate(docs, benchmark, prefix="_found_").where("not _found_contaminated").select(*docs.columns)

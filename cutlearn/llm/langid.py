@@ -194,9 +194,10 @@ def _predictor(shared, text: int, names: list[str]):
     return run
 
 
-def identify(docs: DataFrame, model: Model | None) -> DataFrame:
-    """docs with lang_pred and score added (replaced, if there are such columns); one scan, no shuffle or join."""
-    docs = docs.drop("lang_pred", "score")
+def identify(docs: DataFrame, model: Model | None, prefix: str = "") -> DataFrame:
+    """docs with lang_pred and score added (replaced, if there are such columns); one scan, no shuffle or join. The
+    prefix stands before both names."""
+    docs = docs.drop(f"{prefix}lang_pred", f"{prefix}score")
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    fields = T.StructType([*docs.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
+    fields = T.StructType([*docs.schema.fields, T.StructField(f"{prefix}lang_pred", T.StringType()), T.StructField(f"{prefix}score", T.DoubleType())])
     return docs.mapInArrow(_predictor(shared, docs.columns.index("text"), fields.names), fields)

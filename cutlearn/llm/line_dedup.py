@@ -88,15 +88,27 @@ def keep_bitmaps(docs: DataFrame) -> DataFrame:
     )
 
 
-def dedup_lines(docs: DataFrame) -> DataFrame:
-    """The rows of docs with kept (the text left), n_lines and n_dropped added; columns of these names, and of those
-    used on the way (dropped, text_hash), are replaced."""
-    docs = docs.drop("kept", "n_lines", "n_dropped", "dropped", "text_hash")
-    bitmaps = keep_bitmaps(docs)
-    rows = docs.withColumn("text_hash", F.xxhash64(_text())).join(bitmaps, ["doc_id", "text_hash"], "left")
+def _judged(docs: DataFrame) -> tuple[DataFrame, Column, Column, Column]:
+    """docs joined with their bitmaps, and the text left, the lines and the lines lost. Names added begin with _ld."""
+    bitmaps = keep_bitmaps(docs).toDF("_ld_id", "_ld_hash", "_ld_dropped", "_ld_n")
+    rows = docs.join(bitmaps, (docs.doc_id == bitmaps["_ld_id"]) & (F.xxhash64(F.coalesce(docs.text, F.lit(""))) == bitmaps["_ld_hash"]), "left")
     stays = lambda line, i: (
-        F.call_function("shiftright", F.coalesce(F.element_at("dropped", F.floor(i / BITS).cast("int")), F.lit(0).cast("long")), i % BITS).bitwiseAND(F.lit(1).cast("long")) == 0
+        F.call_function("shiftright", F.coalesce(F.element_at("_ld_dropped", F.floor(i / BITS).cast("int")), F.lit(0).cast("long")), i % BITS).bitwiseAND(F.lit(1).cast("long")) == 0
     )
-    kept = F.when(F.col("dropped").isNull(), _text()).otherwise(F.array_join(F.filter(F.split(_text(), "\n", -1), stays), "\n"))
+    kept = F.when(F.col("_ld_dropped").isNull(), _text()).otherwise(F.array_join(F.filter(F.split(_text(), "\n", -1), stays), "\n"))
     n_lines = F.length(_text()) - F.length(F.translate(_text(), "\n", "")) + 1
-    return rows.withColumns({"kept": kept, "n_lines": n_lines.cast("long"), "n_dropped": F.coalesce(F.col("n_dropped"), F.lit(0)).cast("long")}).drop("dropped", "text_hash")
+    return rows, kept, n_lines.cast("long"), F.coalesce(F.col("_ld_n"), F.lit(0)).cast("long")
+
+
+def dedup_lines(docs: DataFrame) -> DataFrame:
+    """The rows of docs with kept (the text left), n_lines and n_dropped added; columns of these names are replaced."""
+    rows, kept, n_lines, n_dropped = _judged(docs)
+    own = [c for c in docs.columns if c not in ("kept", "n_lines", "n_dropped")]
+    return rows.select(*own, kept.alias("kept"), n_lines.alias("n_lines"), n_dropped.alias("n_dropped"))
+
+
+def dedup_text(docs: DataFrame) -> DataFrame:
+    """The rows and columns of docs; text has the lines left, and n_chars (if there is one) its length."""
+    rows, kept, _, _ = _judged(docs)
+    new = {"text": kept, "n_chars": F.length(kept).cast("long")}
+    return rows.select(*(new[c].alias(c) if c in new else docs[c] for c in docs.columns))

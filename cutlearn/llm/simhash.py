@@ -45,7 +45,7 @@ def masks(radius: int = RADIUS, seed: int = MASK_SEED) -> np.ndarray:
 def free_blocks(mask: int, parts: int) -> list[int]:
     """The bits outside mask, cut into `parts` blocks of nearly equal size."""
     free = [i for i in range(64) if not mask >> i & 1]
-    return [sum(1 << i for i in chunk) for chunk in np.array_split(free, parts)]
+    return [sum(1 << int(i) for i in chunk) for chunk in np.array_split(free, parts)]
 
 
 def fingerprints_of(data: np.ndarray, offsets: np.ndarray, n: int = SHINGLE_WORDS) -> np.ndarray:
