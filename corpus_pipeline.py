@@ -18,15 +18,13 @@ from cutlearn.llm.session import shared_dir
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without any letter have no language and go."""
-    found = langid.identify(docs, langid.learn(docs))
-    return found.where(F.col("lang_pred") != langid.UNKNOWN).select(*docs.columns)
+    found = langid.identify(docs, langid.learn(docs), prefix="_found_")
+    return found.where(F.col("_found_lang_pred") != langid.UNKNOWN).select(*docs.columns)
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts lose the lines that a smaller doc_id holds; n_chars follows."""
-    found = line_dedup.dedup_lines(docs)
-    new = {"text": F.col("kept"), "n_chars": F.length("kept").cast("long")}
-    return found.withColumns({c: v for c, v in new.items() if c in docs.columns}).select(*docs.columns)
+    return line_dedup.dedup_text(docs)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
