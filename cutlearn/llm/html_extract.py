@@ -29,6 +29,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from cutlearn.llm import textblocks as tb
+
 PATH_DIM, LEAF_DIM, WORD_DIM, COUNTS = 96, 64, 24, 6
 WIDTH, HIDDEN = PATH_DIM + LEAF_DIM + WORD_DIM + COUNTS, 20
 BATCH_PAGES, BATCH_BLOCKS = 128, 20_000
@@ -44,6 +46,7 @@ SAME_CLOSES = {"p", "li", "dt", "dd", "option", "tr", "td", "th"}
 TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^\"'>]|\"[^\"]*\"|'[^']*')*+)>", re.S)
 NAMED = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 LINK_TEXT = "a"
+MARK, STOP = (np.isin(np.arange(256), list(x)) for x in (b".,;", b".!?"))
 
 
 class Block(NamedTuple):
@@ -115,7 +118,6 @@ def blocks(page: str) -> list[Block]:
     return out
 
 
-@lru_cache(maxsize=100_000)
 def _slot(word: str, size: int, salt: str) -> tuple[int, float]:
     h = zlib.crc32(f"{salt}{word}".encode("utf-8", "surrogatepass"))
     return (h >> 1) % size, 1.0 if h & 1 else -1.0
@@ -129,24 +131,39 @@ def _path_vector(path: tuple[str, ...]) -> np.ndarray:
             i, sign = _slot(word, PATH_DIM, "path ")
             v[i] = np.clip(v[i] + sign, -1, 1)
             if depth < 2:
-                i, sign = _slot(f"{word}", LEAF_DIM, f"leaf{depth} ")
+                i, sign = _slot(word, LEAF_DIM, f"leaf{depth} ")
                 v[PATH_DIM + i] = np.clip(v[PATH_DIM + i] + sign, -1, 1)
     return v
 
 
-def vector(block: Block, place: float) -> np.ndarray:
-    v = np.zeros(WIDTH)
-    v[: PATH_DIM + LEAF_DIM] = _path_vector(block.path)
-    words = block.text.split()
-    table = np.array([_slot(w, WORD_DIM, "word ") for w in words])
-    v[PATH_DIM + LEAF_DIM : WIDTH - COUNTS] = np.bincount(table[:, 0].astype(int), table[:, 1], WORD_DIM) / np.sqrt(len(words)) * 0.5
-    size = len(block.text)
-    v[WIDTH - COUNTS :] = (np.log1p(len(words)) / 4, block.linked / size, block.text[-1] in ".!?", np.log1p(size) / 8, place, sum(map(block.text.count, ".,;")) / max(len(words), 1))
-    return v
+def vectors_of(pages: list[list[Block]]) -> list[np.ndarray]:
+    """A row of WIDTH for each block of each page. Words are hashed for all blocks at once."""
+    every = [b for page in pages for b in page]
+    edge = np.concatenate([[0], np.cumsum([len(page) for page in pages])]).astype(np.int64)
+    n = len(every)
+    if not n:
+        return [np.zeros((0, WIDTH)) for _ in pages]
+    raw = [b.text.encode("utf-8", "surrogatepass") for b in every]
+    offsets = np.concatenate([[0], np.cumsum([len(r) for r in raw])]).astype(np.int64)
+    data = np.frombuffer(b"".join(raw), np.uint8)
+    s, e, first = tb.words_of(data, offsets)
+    h = tb.RangeHash(data).of(s, e)
+    words = np.diff(first)
+    at = np.repeat(np.arange(n), words) * WORD_DIM + (h % np.uint64(WORD_DIM)).astype(np.int64)
+    sign = np.where(h >> np.uint64(63), 1.0, -1.0)
+    v = np.zeros((n, WIDTH))
+    v[:, : PATH_DIM + LEAF_DIM] = [_path_vector(b.path) for b in every]
+    v[:, PATH_DIM + LEAF_DIM : WIDTH - COUNTS] = np.bincount(at, sign, n * WORD_DIM).reshape(n, WORD_DIM) / np.sqrt(words)[:, None] * 0.5
+    size = np.array([len(b.text) for b in every])
+    marks = tb.sums_by(MARK[data].astype(np.int64), offsets)
+    place = np.arange(n) - np.repeat(edge[:-1], np.diff(edge))
+    counts = (np.log1p(words) / 4, np.array([b.linked for b in every]) / size, STOP[data[offsets[1:] - 1]], np.log1p(size) / 8, place / np.repeat(np.diff(edge), np.diff(edge)), marks / words)
+    v[:, WIDTH - COUNTS :] = np.stack(counts, axis=1)
+    return [v[a:z] for a, z in zip(edge[:-1], edge[1:], strict=True)]
 
 
 def vectors(page: list[Block]) -> np.ndarray:
-    return np.array([vector(b, i / len(page)) for i, b in enumerate(page)]).reshape(-1, WIDTH)
+    return vectors_of([page])[0]
 
 
 def new_weights(rng: np.random.Generator) -> dict[str, np.ndarray]:
@@ -364,7 +381,7 @@ EXTRACTED = "page_id long, url string, text string, n_chars long"
 
 def main_text(w: dict, pages: list[str]) -> list[str]:
     found = [blocks(p) for p in pages]
-    return ["\n".join(b.text for b, p in zip(page, chance, strict=True) if p >= 0.5) for page, chance in zip(found, chances(w, [vectors(x) for x in found]), strict=True)]
+    return ["\n".join(b.text for b, p in zip(page, chance, strict=True) if p >= 0.5) for page, chance in zip(found, chances(w, vectors_of(found)), strict=True)]
 
 
 def _extractor(shared):
