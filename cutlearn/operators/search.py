@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from cutlearn.operators.joins import bucket
-from cutlearn.plans.grid import GridSpec
+from cutlearn.plans.grid import GridSpec, prefix
 from cutlearn.plans.layout import Layout
 
 
@@ -55,16 +55,18 @@ def knn_query(points: DataFrame, x: int, y: int, k: int, spec: GridSpec, hist: n
 
 
 def knn_join(a: DataFrame, b: DataFrame, k: int, spec: GridSpec, hist: np.ndarray) -> DataFrame:
-    """pid_a, pid_b, d2, rank of the k nearest b for each a. hist counts b. Each cell's safe radius groups the left
+    """pid_a, pid_b, d2, rank of the k nearest b for each a. hist counts b on the grid of spec; a finer grid gives
+    tighter radii. Each cell's safe radius groups the left
     rows into classes of doubling radius; a class joins on buckets of its own size, so sparse cells don't make dense
     ones look far. The last step keeps k rows for each left point."""
     g = spec.g
     cell = math.hypot(spec.width / g, spec.height / g)
-    radius = np.zeros((g, g), np.int64)
-    for r in range(g):
-        for c in range(g):
-            ring = next((n for n in range(g + 1) if hist[max(0, r - n) : r + n + 1, max(0, c - n) : c + n + 1].sum() >= k), g)
-            radius[r, c] = math.ceil((ring + 1) * cell) + 1
+    sums, at, ring = prefix(hist), np.arange(g), np.full((g, g), g, np.int64)
+    for n in range(g - 1, -1, -1):
+        lo, hi = np.maximum(at - n, 0), np.minimum(at + n + 1, g)
+        held = sums[np.ix_(hi, hi)] - sums[np.ix_(lo, hi)] - sums[np.ix_(hi, lo)] + sums[np.ix_(lo, lo)]
+        ring[held >= k] = n
+    radius = np.ceil((ring + 1) * cell).astype(np.int64) + 1
     sizes = (np.ceil(np.log2(radius))).astype(np.int64)
     side_of = F.element_at(F.array(*[F.lit(int(1) << int(v)) for v in sizes.ravel()]), (spec.row(F.col("y")) * g + spec.col(F.col("x")) + 1).cast("int"))
     near = F.sequence(F.lit(-1), F.lit(1))
