@@ -31,10 +31,10 @@ from pyspark.sql import functions as F
 
 from cutlearn.llm import textblocks as tb
 
-PATH_DIM, LEAF_DIM, WORD_DIM, COUNTS = 96, 64, 24, 6
+PATH_DIM, LEAF_DIM, WORD_DIM, COUNTS = 256, 256, 24, 6
 WIDTH, HIDDEN = PATH_DIM + LEAF_DIM + WORD_DIM + COUNTS, 20
 BATCH_PAGES, BATCH_BLOCKS = 128, 20_000
-TRAIN_PAGES, EPOCHS, SEED = 400, 8, 11
+TRAIN_PAGES, EPOCHS, SEED = 1000, 6, 11
 
 #: Elements of HTML that begin a block of their own, those without content, and those whose content is no text.
 BLOCK = set("address article aside blockquote body button center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html legend li main menu nav ol option p pre section select summary table tbody td tfoot th thead title tr ul".split())
@@ -153,7 +153,8 @@ def vectors_of(pages: list[list[Block]]) -> list[np.ndarray]:
     sign = np.where(h >> np.uint64(63), 1.0, -1.0)
     v = np.zeros((n, WIDTH))
     v[:, : PATH_DIM + LEAF_DIM] = [_path_vector(b.path) for b in every]
-    v[:, PATH_DIM + LEAF_DIM : WIDTH - COUNTS] = np.bincount(at, sign, n * WORD_DIM).reshape(n, WORD_DIM) / np.sqrt(words)[:, None] * 0.5
+    bag = np.bincount(at, sign, n * WORD_DIM).reshape(n, WORD_DIM) / np.sqrt(words)[:, None]
+    v[:, PATH_DIM + LEAF_DIM : WIDTH - COUNTS] = np.clip(bag * 0.3, -1, 1)  # one word over and over must not outweigh all else
     size = np.array([len(b.text) for b in every])
     marks = tb.sums_by(MARK[data].astype(np.int64), offsets)
     place = np.arange(n) - np.repeat(edge[:-1], np.diff(edge))
@@ -280,6 +281,7 @@ def training_page(rng: np.random.Generator) -> tuple[str, list[int]]:
     pool = ["".join(rng.choice(list(letters), rng.integers(2, 10))) for _ in range(60)]
     out, labels = [], []
     pick = lambda xs: xs[rng.integers(len(xs))]
+    usual = lambda xs: xs[0] if rng.random() < 0.4 else pick(xs)  # noqa: E731  the elements that HTML has for a part come first
 
     def words(n: int, stop: bool = True) -> str:
         text = " ".join(pick(pool) for _ in range(max(1, n)))
@@ -296,6 +298,8 @@ def training_page(rng: np.random.Generator) -> tuple[str, list[int]]:
 
     def prose(tag: str, n: int, label: int) -> str:
         inner = words(n)
+        if rng.random() < 0.05:
+            inner = " ".join([pick(pool)] * (5 * n)) + "."
         if rng.random() < 0.2:
             inner += f' <a href="/{pick(pool)}">{words(2, False)}</a> {words(n // 2 + 1)}'
         if rng.random() < 0.15:
@@ -304,7 +308,7 @@ def training_page(rng: np.random.Generator) -> tuple[str, list[int]]:
         return put(f"<{tag}{noise}>{inner}" + (f"</{tag}>" if rng.random() < 0.9 else ""), label)
 
     def part(kind: str) -> str:
-        tag = pick(SIDE[kind])
+        tag = usual(SIDE[kind])
         inner = []
         if kind in ("nav", "side", "foot", "head") and rng.random() < 0.8:
             inner += ["<ul>", *(put(f'<li><a href="/{pick(pool)}">{words(rng.integers(1, 4), False)}</a></li>', 0) for _ in range(rng.integers(2, 9))), "</ul>"]
@@ -315,7 +319,7 @@ def training_page(rng: np.random.Generator) -> tuple[str, list[int]]:
         if kind in ("side", "head", "ad", "notice") and rng.random() < 0.5:
             inner += [prose(pick(["h2", "h3", "p", "div"]), int(rng.integers(2, 40)), 0)]
         if not inner or kind in ("ad", "notice", "foot") and rng.random() < 0.6:
-            inner.insert(0, put(("&copy; " if kind == "foot" else "") + words(int(rng.integers(2, 40))), 0))
+            inner.insert(0, put(("&copy; " + pick(["", "2024 ", f"{pick(pool)}.example &middot; "]) if kind == "foot" else "") + words(int(rng.integers(2, 40))), 0))
         return tag + "".join(inner) + closing(tag)
 
     title = words(int(rng.integers(2, 10)), False)
@@ -324,7 +328,7 @@ def training_page(rng: np.random.Generator) -> tuple[str, list[int]]:
         if rng.random() < 0.5:
             out.append(part(kind))
     wrap = pick(["", "", '<div class="container">', '<div id="page"><div class="row">'])
-    main = pick(MAIN)
+    main = usual(MAIN)
     out += [wrap, main]
     if rng.random() < 0.8:
         out.append(put(f"<h1>{title}</h1>", 1))
@@ -364,7 +368,8 @@ def train(pages: int = TRAIN_PAGES, epochs: int = EPOCHS, seed: int = SEED) -> d
     w = new_weights(rng)
     m, v, step = {k: np.zeros_like(x) for k, x in w.items()}, {k: np.zeros_like(x) for k, x in w.items()}, 0
     size = 20
-    for _ in range(epochs):
+    for epoch in range(epochs):
+        rate = 0.02 * (1 - epoch / epochs) ** 1.5
         for k in rng.permutation(-(-pages // size)):
             part = data[k * size : (k + 1) * size]
             _, grad = gradient(w, [x for x, _ in part], [y for _, y in part])
@@ -372,7 +377,7 @@ def train(pages: int = TRAIN_PAGES, epochs: int = EPOCHS, seed: int = SEED) -> d
             for name, g in grad.items():
                 m[name] = 0.9 * m[name] + 0.1 * g
                 v[name] = 0.99 * v[name] + 0.01 * g * g
-                w[name] = w[name] - 0.02 * (m[name] / (1 - 0.9**step)) / (np.sqrt(v[name] / (1 - 0.99**step)) + 1e-8)
+                w[name] = w[name] - rate * (m[name] / (1 - 0.9**step)) / (np.sqrt(v[name] / (1 - 0.99**step)) + 1e-8)
     return w
 
 
