@@ -1,6 +1,6 @@
 """Benchmark decontamination: rare n-gram seeds find where an item may stand, Smith-Waterman alignment decides.
 
-Words are runs of letters, digits and non-ASCII bytes, A-Z in lower case. Word triples of an item are its seeds. One
+Words are runs of letters, digits and non-ASCII bytes; all letters are taken in lower case. Word triples of an item are its seeds. One
 pass over all documents counts in how many documents each seed occurs; an item keeps the seeds that are rare beside
 its own rarest quarter (an item that leaked ten thousand times makes all its seeds common together and keeps them).
 A second pass looks the seeds up in every document. Each hit names a document, an item and a diagonal; the words
@@ -22,6 +22,7 @@ from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -59,14 +60,13 @@ class Items(NamedTuple):
 
 
 def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    low = tb.LOWER[data]
-    s, e = tb.runs_of(IN_WORD[low], offsets)
-    return tb.RangeHash(low).of(s, e), np.searchsorted(s, offsets)
+    s, e = tb.runs_of(IN_WORD[data], offsets)
+    return tb.RangeHash(data).of(s, e), np.searchsorted(s, offsets)
 
 
 def index_items(ids: list[int], texts: list[str], keep: np.ndarray | None = None) -> Items:
     """keep: the seeds to index (sorted hashes); all of them if None."""
-    data, offsets = tb.column_bytes(pa.array(texts, pa.string()))
+    data, offsets = tb.column_bytes(pc.utf8_lower(pa.array(texts, pa.string())))
     words, first = word_hashes(data, offsets)
     ok, item = tb.within(first, SEED_WORDS, len(words))
     ok = ok & (np.diff(first)[item] >= MIN_ITEM_WORDS)
@@ -101,7 +101,7 @@ def _frequency_counter(shared):
         index: Items = shared.value
         bits, total = _filter_bits(index), np.zeros(len(index.seeds), np.int64)
         for batch in batches:
-            for _lo, _hi, data, offsets in tb.slices(batch.column(0)):
+            for _lo, _hi, data, offsets in tb.slices(pc.utf8_lower(batch.column(0))):
                 _, doc, k = _hits(index, bits, *word_hashes(data, offsets))
                 pairs = np.unique(doc.astype(np.int64) * len(index.seeds) + k)
                 total += np.bincount(pairs % len(index.seeds), minlength=len(total)) if len(pairs) else 0
@@ -159,7 +159,7 @@ def _matcher(shared, text: int, names: list[str]):
         bits = _filter_bits(index)
         lengths = np.diff(index.first)
         for batch in batches:
-            for lo, hi, data, offsets in tb.slices(batch.column(text)):
+            for lo, hi, data, offsets in tb.slices(pc.utf8_lower(batch.column(text))):
                 words, first = word_hashes(data, offsets)
                 window, doc, k = _hits(index, bits, words, first)
                 places = index.at[k + 1] - index.at[k]

@@ -502,16 +502,17 @@ def test_alignment_equals_the_plain_table():
 def test_decontamination(spark, awkward):
     rng = random.Random(7)
     words = [f"{a}{b}" for a in "bcdfghklmnprst" for b in ("an", "el", "ir", "os", "um")]
-    items = [" ".join(rng.choice(words) for _ in range(n)) for n in (40, 25, 8, 3)]
+    items = [" ".join(rng.choice(words) for _ in range(n)) for n in (40, 25, 8, 3)] + ["été über école Garçon ñandú"]
     filler = lambda n: " ".join(rng.choice(words) for _ in range(n))
     edited = " ".join(rng.choice(words) if k % 6 == 5 else w.upper() + "," for k, w in enumerate(items[0].split()))
-    rows = [(1, filler(50) + " " + items[0] + " " + filler(60), "en", "s", 0), (2, edited, "en", "s", 0), (3, filler(300), "en", "s", 0), (4, items[1], "en", "s", 0), (5, filler(20) + ". " + items[2], "en", "s", 0), (6, items[3], "en", "s", 0), (7, " ".join(items[1].split()[:9]) + " " + filler(40), "en", "s", 0)]
+    rows = [(1, filler(50) + " " + items[0] + " " + filler(60), "en", "s", 0), (2, edited, "en", "s", 0), (3, filler(300), "en", "s", 0), (4, items[1], "en", "s", 0), (5, filler(20) + ". " + items[2], "en", "s", 0), (6, items[3], "en", "s", 0), (16, "x " + items[4].upper() + " y", "en", "s", 0), (7, " ".join(items[1].split()[:9]) + " " + filler(40), "en", "s", 0)]
+    rows += [(8, "Grüße ÉTÉ " + items[3] + " élan", "en", "s", 0)]
     rows += [(50 + k, items[1] + " " + filler(30), "en", "s", 0) for k in range(60)]  # a leak that is everywhere
     bench = spark.createDataFrame([(k, t) for k, t in enumerate(items)] + [(None, filler(30)), (9, None), (10, "")], "item_id long, text string")
     for per_block in (decontam.ITEMS_PER_BLOCK, 2):
         got = {r.doc_id: r for r in decontam.decontaminate(frame(spark, rows), bench, per_block).collect()}
         bad = {i: got[i].item_id for i in got if got[i].contaminated}
-        assert bad == {1: 0, 2: 0, 4: 1, 5: 2} | {50 + k: 1 for k in range(60)}
+        assert bad == {1: 0, 2: 0, 4: 1, 5: 2, 16: 4} | {50 + k: 1 for k in range(60)}
         assert got[4].score == 1
     odd = clashing(frame(spark, awkward))
     out = decontam.decontaminate(odd, bench)
