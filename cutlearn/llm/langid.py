@@ -149,7 +149,7 @@ def _vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for at in range(0, batch.num_rows, ROWS_PER_SLICE):
             part = batch.slice(at, ROWS_PER_SLICE)
-            for lo, hi, data, offsets in tb.slices(part.column(1)):
+            for lo, hi, data, offsets in tb.slices(pc.utf8_lower(part.column(1))):
                 x = features(data, offsets)[:, :-1].astype(np.float32)
                 yield pa.RecordBatch.from_arrays([part.column(0).slice(lo, hi - lo), pa.array([r.tobytes() for r in x], pa.binary())], ["lang", "x"])
 
@@ -181,7 +181,7 @@ def _predictor(shared, text: int, names: list[str]):
             for at in range(0, batch.num_rows, ROWS_PER_SLICE):
                 part = batch.slice(at, ROWS_PER_SLICE)
                 letters = pc.fill_null(pc.match_substring_regex(part.column(text), r"\p{L}"), False).to_numpy(zero_copy_only=False)
-                for lo, hi, data, offsets in tb.slices(part.column(text)):
+                for lo, hi, data, offsets in tb.slices(pc.utf8_lower(part.column(text))):
                     n, good = hi - lo, letters[lo:hi]
                     if model is None:
                         lang, score = [UNKNOWN] * n, np.zeros(n)
