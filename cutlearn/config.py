@@ -95,6 +95,9 @@ class TrainConfig:
     reward_kind: str = "mean_of_ratios"  # or "ratio_of_means"
     shift: str = "perpendicular"  # or "neighbour"
     shift_given_greedy: bool = False
+    shift_base: str = "model"  # or "best_layout": beside a cut of the best layout so far
+    renormalise_rewards: bool = False  # stored rewards follow the best layout when it changes
+    refresh_best_every: int = 0  # episodes between new measurements of the best layout; 0 for never
     mass_scale: str = "literal"  # or "unit"
     pretrain: bool = True
     grid_shift: bool = True

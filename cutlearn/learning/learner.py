@@ -35,14 +35,17 @@ def shifted(board: Board, action: int, kind: str, rng: np.random.Generator) -> i
     return int(rng.choice(ids)) if ids else action
 
 
-def choose(net: QNet, board: Board, encode: Encoder, cfg: TrainConfig, rng: np.random.Generator) -> int:
+def choose(net: QNet, board: Board, encode: Encoder, cfg: TrainConfig, rng: np.random.Generator, base: int | None = None) -> int:
+    """base: the action to shift instead of the network's best one, where it is valid."""
     eps_shift = cfg.eps_shift if cfg.grid_shift else 0.0
     u = rng.random()
     if u < cfg.eps_random:
         return int(rng.choice(np.flatnonzero(board.mask())))
     best = greedy(net, board, encode)
     share = (1 - cfg.eps_random) * eps_shift if cfg.shift_given_greedy else eps_shift
-    return shifted(board, best, cfg.shift, rng) if u < cfg.eps_random + share else best
+    if u >= cfg.eps_random + share:
+        return best
+    return shifted(board, best if base is None or not board.mask()[base] else base, cfg.shift, rng)
 
 
 def greedy_layout(net: QNet, encode: Encoder, m: int) -> Layout:
@@ -113,6 +116,10 @@ class Learner:
             self.target.copy_from(self.online)
         return losses
 
+    def _reprice(self, best_times: tuple[float, ...], workload: Workload) -> None:
+        if self.cfg.renormalise_rewards:
+            self.memory.reprice(lambda times: reward(best_times, times, workload.freqs, self.cfg.reward_kind))
+
     def pretrain(self, demo: Demo) -> PretrainReport:
         """Only the demonstration is learned from, until a greedy episode rebuilds its layout."""
         for k in range(self.cfg.pretrain_iters):
@@ -123,33 +130,41 @@ class Learner:
 
     def train(self, demo: Demo, workload: Workload, cost) -> TrainResult:
         cfg, began = self.cfg, time.monotonic()
+        if cfg.shift_base not in ("model", "best_layout"):
+            raise ValueError(cfg.shift_base)
         demo_times = cost.evaluate(demo.layout, workload).times
         for t in transitions(demo.actions, self.encode, 1.0, cfg):
-            self.memory.demo.add(t)
+            self.memory.demo.add(t, demo_times)
         self.memory.demo.pinned = len(self.memory.demo.items)
         result = TrainResult(demo.layout, demo_times, demo_times, None)
         if cfg.pretrain:
             result.pretrain = self.pretrain(demo)
             self.updates = 0
-        first = not cfg.pretrain
+        first, best_actions = not cfg.pretrain, list(demo.actions) if cfg.pretrain else []
         best_cost = workload_time(demo_times, workload.freqs)
         for e in range(cfg.episodes):
             if time.monotonic() - began > cfg.wall_cap_s:
                 break
             board, actions = Board(len(self.encode.hist)), []
+            if cfg.refresh_best_every and e and e % cfg.refresh_best_every == 0:
+                cost.forget(result.best)
+                result.best_times = cost.evaluate(result.best, workload).times
+                self._reprice(result.best_times, workload)
             for t in range(self.m - 1):
-                actions.append(choose(self.online, board, self.encode, cfg, self.rng))
+                base = best_actions[t] if cfg.shift_base == "best_layout" and best_actions else None
+                actions.append(choose(self.online, board, self.encode, cfg, self.rng, base))
                 board.step(actions[-1])
                 if t < self.m - 2:
                     self._update()
             got = cost.evaluate(board.layout, workload, None if first else result.best_times, cfg)
             if first:  # without a demonstration the first episode is what later ones are held against
-                result.best, result.best_times, first = board.layout, got.times, False
+                result.best, result.best_times, best_actions, first = board.layout, got.times, actions, False
                 best_cost = workload_time(got.times, workload.freqs)
             r = cfg.stop_reward if got.stopped else reward(result.best_times, got.times, workload.freqs, cfg.reward_kind)
-            self.memory.route(transitions(actions, self.encode, r, cfg), r)
+            self.memory.route(transitions(actions, self.encode, r, cfg), r, None if got.stopped else got.times)
             if r > 1:
-                result.best, result.best_times = board.layout, got.times
+                result.best, result.best_times, best_actions = board.layout, got.times, actions
+                self._reprice(result.best_times, workload)
             paid = workload_time(got.times, workload.freqs)
             best_cost = min(best_cost, paid) if not got.stopped else best_cost
             result.history.append(Episode(e, board.layout, r, got.times, got.stopped, paid, best_cost, time.monotonic() - began))

@@ -64,22 +64,32 @@ class Memory:
     def __init__(self, cap: int, alpha: float, floor: float):
         self.cap, self.alpha, self.floor = cap, alpha, floor
         self.items: list[Transition] = []
+        self.times: list[tuple[float, ...] | None] = []
         self.tree, self.top, self.pinned, self.next = SumTree(cap), 1.0, 0, 0
 
-    def add(self, t: Transition) -> None:
+    def add(self, t: Transition, times: tuple[float, ...] | None = None) -> None:
+        """times: seconds of the episode's queries, if its reward may be worked out again."""
         if len(self.items) < self.cap:
             k = len(self.items)
             self.items.append(t)
+            self.times.append(times)
         else:
             k = self.next = max(self.next, self.pinned)
             if k >= self.cap:
                 k = self.next = self.pinned
             if k >= self.cap:
                 return
-            self.items[k] = t
+            self.items[k], self.times[k] = t, times
             self.next += 1
         self.tree.set(k, self.top)
 
+    def reprice(self, reward_of, discount: float) -> None:
+        """Returns from the kept times and today's reward. Only the end of an episode is rewarded, so only steps that
+        reach it change."""
+        for k, (t, times) in enumerate(zip(self.items, self.times, strict=True)):
+            if times is not None and t.done:
+                self.items[k] = t._replace(ret=discount ** (t.steps - 1) * reward_of(times))
+
     def sample(self, n: int, rng: np.random.Generator) -> list[int]:
         return [min(self.tree.find(u), len(self.items) - 1) for u in rng.uniform(0, self.tree.total, n)] if self.items else []
 
@@ -98,13 +108,17 @@ class DualMemory:
         self.demo = Memory(cfg.demo_cap, cfg.alpha, cfg.priority_floor)
         self.agent = Memory(cfg.agent_cap, cfg.alpha, cfg.priority_floor)
 
-    def route(self, transitions: list[Transition], reward: float) -> str:
+    def route(self, transitions: list[Transition], reward: float, times: tuple[float, ...] | None = None) -> str:
         """An episode better than the best goes to the demonstrations, any other to the agent's memory."""
         name = "demo" if reward > 1 else "agent"
         for t in transitions:
-            getattr(self, name).add(t)
+            getattr(self, name).add(t, times)
         return name
 
+    def reprice(self, reward_of) -> None:
+        for memory in (self.demo, self.agent):
+            memory.reprice(reward_of, self.cfg.discount)
+
     def sample(self, rng: np.random.Generator, demo_only: bool = False) -> tuple[Batch, list[tuple[Memory, int]]]:
         """rho of a batch comes from the demonstrations, and what the agent's memory can't give yet."""
         want = 0 if demo_only else round(self.cfg.batch * (1 - self.cfg.rho))

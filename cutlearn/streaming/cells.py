@@ -3,15 +3,20 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from cutlearn.plans.grid import GridSpec
 from cutlearn.plans.layout import Layout
 
 EVENT_SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 LATE = "10 minutes"
+#: Weight of the newest day in a smoothed cell count.
+WEIGHT = 0.3
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -40,6 +45,46 @@ def sessions(stream: DataFrame, gap: str = "5 minutes") -> DataFrame:
     return stream.groupBy(F.session_window("at", gap), "event_type").agg(F.count("*").alias("n")).select(F.col("session_window.start").cast("timestamp_ntz").alias("win"), "event_type", "n")
 
 
+DAY_MS = 86_400_000
+
+
+def _smoother(weight: float):
+    def smooth(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        """The state holds the counts of open days, the last closed day and the smoothed count up to it. A day is
+        closed by the watermark, never by a later day, so the order in which events come changes nothing."""
+        days, counts, last, level = state.get if state.exists else ([], [], None, 0.0)
+        still = dict(zip(days, counts, strict=True))
+        for frame in () if state.hasTimedOut else frames:
+            for d, n in frame["day"].value_counts().items():
+                if last is None or d > last:
+                    still[int(d)] = still.get(int(d), 0) + int(n)
+        mark = state.getCurrentWatermarkMs()
+        rows = []
+        for d in sorted(d for d in still if (d + 1) * DAY_MS <= mark):
+            level = level * (1 - weight) ** (d - last if last is not None else 0) + weight * still[d]
+            rows.append((d, still.pop(d), level))
+            last = d
+        days = sorted(still)
+        state.update((days, [still[d] for d in days], last, level))
+        if days:
+            state.setTimeoutTimestamp((days[0] + 1) * DAY_MS)
+        if rows:
+            out = pd.DataFrame(rows, columns=["day", "n", "level"])
+            yield out.assign(row=key[0], col=key[1])[["row", "col", "day", "n", "level"]]
+
+    return smooth
+
+
+def smoothed(stream: DataFrame, spec: GridSpec, weight: float = WEIGHT) -> DataFrame:
+    """win, row, col, n, level: closed days of each cell with an exponentially smoothed count; days without events fade
+    it. A custom stateful operator: a cell's state is a number and its open days. Append mode."""
+    days = with_cells(stream, spec).select("row", "col", F.datediff("at", F.lit("1970-01-01")).cast("long").alias("day"), "at")
+    out = days.groupBy("row", "col").applyInPandasWithState(
+        _smoother(weight), "row int, col int, day long, n long, level double", "days array<long>, counts array<long>, last long, level double", "append", GroupStateTimeout.EventTimeTimeout
+    )
+    return out.select(F.date_from_unix_date(F.col("day").cast("int")).cast("timestamp_ntz").alias("win"), "row", "col", "n", F.round("level", 9).alias("level"))
+
+
 def by_region(stream: DataFrame, spec: GridSpec, layout: Layout) -> DataFrame:
     """A stream joined with a fixed layout: events per region and day; points off the map count to its border cells."""
     placed = stream.withColumn("part", layout.part(spec.row(F.col("y")), spec.col(F.col("x"))))

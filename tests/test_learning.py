@@ -242,3 +242,37 @@ def test_network_saves_and_loads(tmp_path):
     net.save(str(tmp_path / "net.npz"))
     x = np.ones((1, 5))
     assert np.allclose(QNet.load(str(tmp_path / "net.npz")).forward(x), net.forward(x))
+
+
+def test_shift_can_start_from_the_best_layout():
+    board, cfg = Board(8), TrainConfig(g=8, hidden=(16,), eps_random=0.0, eps_shift=1.0)
+    encode = Encoder(np.ones((8, 8)), "unit")
+    net, rng = QNet((9 * 9 * 3, 16, 128), 0), np.random.default_rng(0)
+    base = board.action_id(Cut(0, 4, DOWN))
+    beside = {board.action_id(Cut(0, j, DOWN)) for j in (3, 5)}
+    assert {choose(net, board, encode, cfg, rng, base) for _ in range(30)} == beside
+    board.step(base)  # not valid any more: the network's own action is shifted
+    assert all(board.mask()[choose(net, board, encode, cfg, rng, base)] for _ in range(30))
+
+
+def test_rewards_follow_the_best_layout():
+    cfg = TrainConfig(agent_cap=4, demo_cap=4, discount=0.5)
+    memory = DualMemory(cfg)
+    states, masks = [np.zeros(1)] * 5, [np.ones(2, bool)] * 5
+    memory.route(n_step(states, masks, [0] * 4, [0, 0, 0, 1.0], 3, 0.5), 1.0, (4.0,))
+    memory.reprice(lambda times: (2.0 / times[0]) ** 2)
+    assert [t.ret for t in memory.agent.items] == [0, 0.0625, 0.125, 0.25]
+    memory.route(n_step(states, masks, [0] * 4, [0, 0, 0, 0.2], 3, 0.5), 0.2)  # a stopped episode keeps its reward
+    memory.reprice(lambda times: 9.0)
+    assert [t.ret for t in memory.agent.items] == [0, 0.05, 0.1, 0.2]
+
+
+@pytest.mark.parametrize("change", [{"shift_base": "best_layout"}, {"renormalise_rewards": True}, {"refresh_best_every": 5}])
+def test_training_options_never_end_worse(change):
+    _, _, hist, demo, cost = toy(8, 4)
+    cfg = replace(SMALL, g=8, episodes=30, reward_kind="ratio_of_means", **change)
+    w = Workload((DistanceJoin(50, 1.0),))
+    got = Learner(hist, 4, cfg).train(demo, w, cost)
+    assert got.episodes == 30 and workload_time(got.best_times, w.freqs) <= workload_time(got.demo_times, w.freqs)
+    with pytest.raises(ValueError):
+        Learner(hist, 4, replace(cfg, shift_base="x")).train(demo, w, cost)
