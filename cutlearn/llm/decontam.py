@@ -1,11 +1,12 @@
 """Benchmark decontamination: rare n-gram seeds find where an item may stand, Smith-Waterman alignment decides.
 
 Words are runs of letters, digits and non-ASCII bytes; all letters are taken in lower case. Word triples of an item are its seeds. One
-pass over all documents counts in how many documents each seed occurs; an item keeps the seeds that are rare beside
-its own rarest quarter (an item that leaked ten thousand times makes all its seeds common together and keeps them).
-A second pass looks the seeds up in every document. Each hit names a document, an item and a diagonal; the words
-around the diagonal are aligned with the item (match 2, mismatch and gap -1), and a document is contaminated where
-the best local alignment reaches THRESHOLD of a perfect copy's score.
+pass over all documents counts in how many documents each seed occurs; a seed is rare for an item beside the item's
+own rarest quarter. A second pass looks all seeds up in every document. Each hit names a document, an item and a
+diagonal; the words around the diagonal are aligned with the item (match 2, mismatch and gap -1), and a document is
+contaminated where the best local alignment reaches THRESHOLD of a perfect copy's score. Candidates of common seeds
+alone are aligned unless too few of the item's words stand in the window to reach THRESHOLD in any order, so how often
+a leak occurs, whole, edited or shortened, changes no verdict; only the score of clean documents leaves those out.
 
 The benchmark is taken in blocks of ITEMS_PER_BLOCK items, so what is broadcast is bounded whatever its size; all
 documents meet every block, and nothing but seed counts reaches the driver.
@@ -36,6 +37,8 @@ ITEMS_PER_BLOCK = 20_000
 #: A seed is rare if it occurs in no more than so many times the documents of the item's rarest quarter.
 COMMON_TIMES = 10
 ALIGN_BATCH = 256
+#: Places of seeds that are looked at in one piece.
+PLACES = 200_000
 MATCH, MISMATCH, GAP = 2, -1, -1
 
 ADDED = ("contaminated", "item_id", "score")
@@ -64,17 +67,13 @@ def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.n
     return tb.RangeHash(data).of(s, e), np.searchsorted(s, offsets)
 
 
-def index_items(ids: list[int], texts: list[str], keep: np.ndarray | None = None) -> Items:
-    """keep: the seeds to index (sorted hashes); all of them if None."""
+def index_items(ids: list[int], texts: list[str]) -> Items:
     data, offsets = tb.column_bytes(pc.utf8_lower(pa.array(texts, pa.string())))
     words, first = word_hashes(data, offsets)
     ok, item = tb.within(first, SEED_WORDS, len(words))
     ok = ok & (np.diff(first)[item] >= MIN_ITEM_WORDS)
     pos = np.flatnonzero(ok)
     seed, item = tb.ngrams(words, SEED_WORDS)[pos], item[pos]
-    if keep is not None:
-        good = np.isin(seed, keep)
-        pos, seed, item = pos[good], seed[good], item[good]
     order = np.argsort(seed, kind="stable")
     seeds, at = np.unique(seed[order], return_index=True)
     return Items(np.array(ids, np.int64), words, first, seeds, np.append(at, len(order)), item[order], (pos - first[item])[order])
@@ -112,7 +111,7 @@ def _frequency_counter(shared):
 
 
 def rare_seeds(index: Items, frequency: np.ndarray) -> np.ndarray:
-    """Sorted hashes of the seeds that at least one of their items keeps."""
+    """For each seed, whether it is rare for at least one of its items."""
     seed_of = np.repeat(np.arange(len(index.seeds)), np.diff(index.at))
     keep = np.zeros(len(index.seeds), bool)
     order = np.argsort(index.item, kind="stable")
@@ -121,7 +120,7 @@ def rare_seeds(index: Items, frequency: np.ndarray) -> np.ndarray:
         own = seed_of[order[a:z]]
         f = frequency[own]
         keep[own[f <= COMMON_TIMES * (1 + np.quantile(f, 0.25, method="lower"))]] = True
-    return index.seeds[keep]
+    return keep
 
 
 def align(items: list[np.ndarray], windows: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
@@ -151,31 +150,61 @@ def align(items: list[np.ndarray], windows: list[np.ndarray]) -> tuple[np.ndarra
     return best, a_len
 
 
+def _words_met(index: Items, item: np.ndarray, words: np.ndarray, a: np.ndarray, z: np.ndarray) -> np.ndarray:
+    """For each candidate the number of the item's words that stand anywhere in words[a:z]: no alignment has more matches."""
+    def keyed(values: np.ndarray, begin: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        who = np.repeat(np.arange(len(size)), size)
+        turn = np.arange(len(who)) - np.repeat(np.cumsum(size) - size, size)
+        return tb.mix(values[np.repeat(begin, size) + turn] + who.astype(np.uint64) * tb.GOLDEN), who
+
+    own, who = keyed(index.words, index.first[item], index.first[item + 1] - index.first[item])
+    there, _ = keyed(words, a, np.maximum(z - a, 0))
+    return np.bincount(who[np.isin(own, there)], minlength=len(item))
+
+
+def _candidates(index: Items, rare: np.ndarray, words: np.ndarray, first: np.ndarray, hits: tuple) -> Iterator[tuple[np.ndarray, ...]]:
+    """(text, item, first and last word of the window) of what has to be aligned, ALIGN_BATCH at a time."""
+    lengths = np.diff(index.first)
+    window, doc, k = hits
+    every = index.at[k + 1] - index.at[k]
+    piece = np.cumsum(every) // PLACES
+    for part in np.split(np.arange(len(k)), np.flatnonzero(np.diff(piece)) + 1):
+        places = every[part]
+        turn = np.arange(places.sum()) - np.repeat(np.cumsum(places) - places, places)
+        place = np.repeat(index.at[k[part]], places) + turn
+        if not len(place):
+            continue
+        item, d = index.item[place], np.repeat(doc[part], places)
+        s = lengths[item] // 4 + 4
+        # hits near one diagonal are one candidate
+        diagonal = (np.repeat(window[part], places) - index.pos[place]) // s
+        order = np.lexsort((diagonal, item, d))
+        d, item, diagonal, s = d[order], item[order], diagonal[order], s[order]
+        new = np.flatnonzero(np.concatenate([[True], (np.diff(d) != 0) | (np.diff(item) != 0) | (np.diff(diagonal) != 0)]))
+        sure = np.logical_or.reduceat(np.repeat(rare[k[part]], places)[order], new)
+        d, item, diagonal, s = d[new], item[new], diagonal[new], s[new]
+        a = np.maximum(diagonal * s - s, first[d])
+        z = np.minimum((diagonal + 1) * s + lengths[item] + s, first[d + 1])
+        left = np.flatnonzero(~sure)
+        for c in range(0, len(left), 16 * ALIGN_BATCH):
+            i = left[c : c + 16 * ALIGN_BATCH]
+            sure[i] = _words_met(index, item[i], words, a[i], z[i]) >= THRESHOLD * lengths[item[i]]
+        d, item, a, z = d[sure], item[sure], a[sure], z[sure]
+        for c in range(0, len(d), ALIGN_BATCH):
+            yield tuple(x[c : c + ALIGN_BATCH] for x in (d, item, a, z))
+
+
 def _matcher(shared, text: int, names: list[str]):
     """Appends contaminated, item_id and score to the columns of each batch; column number `text` is judged."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index: Items = shared.value
+        index, rare = shared.value
         bits = _filter_bits(index)
-        lengths = np.diff(index.first)
         for batch in batches:
             for lo, hi, data, offsets in tb.slices(pc.utf8_lower(batch.column(text))):
                 words, first = word_hashes(data, offsets)
-                window, doc, k = _hits(index, bits, words, first)
-                places = index.at[k + 1] - index.at[k]
-                turn = np.arange(places.sum()) - np.repeat(np.cumsum(places) - places, places)
-                place = np.repeat(index.at[k], places) + turn
-                item, doc = index.item[place], np.repeat(doc, places)
-                start = np.repeat(window, places) - index.pos[place]
-                slack = lengths[item] // 4 + 4
-                # hits near one diagonal are one candidate
-                which = np.unique(np.stack([doc, item, start // slack]), axis=1) if len(item) else np.zeros((3, 0), np.int64)
                 score, owner = np.zeros(hi - lo), np.full(hi - lo, -1, np.int64)
-                for c in range(0, which.shape[1], ALIGN_BATCH):
-                    d, it, diagonal = which[:, c : c + ALIGN_BATCH]
-                    s = lengths[it] // 4 + 4
-                    a = np.maximum(diagonal * s - s, first[d])
-                    z = np.minimum((diagonal + 1) * s + lengths[it] + s, first[d + 1])
+                for d, it, a, z in _candidates(index, rare, words, first, _hits(index, bits, words, first)):
                     got, full = align([index.words[index.first[x] : index.first[x + 1]] for x in it], [words[x:y] for x, y in zip(a, z, strict=True)])
                     for row, value, which_id in sorted(zip(d.tolist(), (got / (MATCH * full)).tolist(), index.ids[it].tolist(), strict=True), key=lambda x: (x[0], -x[1], x[2])):
                         if value > score[row] or value == score[row] and value and which_id < owner[row]:
@@ -197,7 +226,7 @@ def item_blocks(benchmark: DataFrame, size: int = ITEMS_PER_BLOCK) -> Iterator[t
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, items_per_block: int = ITEMS_PER_BLOCK, prefix: str = "") -> DataFrame:
-    """docs with ADDED (replacing columns of these names): the best item and its score, null and 0 without any seed.
+    """docs with ADDED (replacing columns of these names): the best item and its score, null and 0 without any candidate.
     The prefix stands before the names added. Every further block of items is a further pass that keeps the better of its own and the former item."""
     added_names = tuple(prefix + c for c in ADDED)
     sc = docs.sparkSession.sparkContext
@@ -211,12 +240,12 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, items_per_block: int =
         frequency = np.zeros(len(index.seeds), np.int64)
         for seed, n in counted.collect():
             frequency[seed] = n
-        index = index_items(ids, texts, rare_seeds(index, frequency))
+        rare = rare_seeds(index, frequency)
         before = rows if done else rows.select(*names)
         own = [f"_new_{c}" for c in ADDED]
         added = zip(own if done else added_names, (T.BooleanType(), T.LongType(), T.DoubleType()), strict=True)
         fields = T.StructType([*before.schema.fields, *(T.StructField(c, kind) for c, kind in added)])
-        rows = before.mapInArrow(_matcher(sc.broadcast(index), at, fields.names), fields)
+        rows = before.mapInArrow(_matcher(sc.broadcast((index, rare)), at, fields.names), fields)
         if done:
             score, item = F.col(added_names[2]), F.coalesce(added_names[1], F.lit((1 << 63) - 1))
             better = (F.col("_new_score") > score) | (F.col("_new_score") == score) & (F.col("_new_item_id") < item)

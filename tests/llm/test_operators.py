@@ -531,6 +531,21 @@ def test_leaks_in_the_given_documents(spark):
     assert want <= got and len(got - want) <= 2
 
 
+@pytest.mark.parametrize("times", [11, 1000])
+@pytest.mark.parametrize("whole", [0, 1])
+def test_frequent_edited_and_shortened_leaks(spark, times, whole):
+    items = [" ".join(f"w{k}x{j}" for j in range(30)) for k in range(2)]
+    edited = " ".join("other" if j in (7, 15, 23) else w for j, w in enumerate(items[0].split()))
+    shortened = " ".join(items[1].split()[:22])
+    rows = [(k, f"{k} begins {(edited, shortened)[k % 2]} ends", "en", "s", 0) for k in range(2 * times)]
+    rows += [(-1 - k, items[k], "en", "s", 0) for k in range(2 * whole)]  # a whole copy makes the missing seeds rare, not absent
+    rows += [(10_000, " ".join(items[0].split()[:9]) + " and no more", "en", "s", 0)]
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    got = {r.doc_id: r for r in decontam.decontaminate(frame(spark, rows), bench).collect()}
+    assert {i for i, r in got.items() if not r.contaminated} == {10_000}
+    assert got[0].item_id == 0 and got[1].item_id == 1 and abs(got[0].score - 0.85) < 1e-9 and abs(got[1].score - 44 / 60) < 1e-9
+
+
 # op 10 ---------------------------------------------------------------------------------------------------------------
 
 TURNS = "conv_id long, turn long, role string, text string"
