@@ -12,7 +12,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cutlearn.llm import decontam, langid, line_dedup, mixing, simhash
+from cutlearn.llm import decontam, langid, line_dedup, mixing, near_jaccard, simhash
 from cutlearn.llm.session import shared_dir
 
 
@@ -28,7 +28,8 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.representatives(docs)
+    """One document of each group linked by a five-word Jaccard similarity of 0.8 or more stays."""
+    return simhash.representatives(docs, found=near_jaccard.components(docs))
 
 
 def leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -187,10 +187,12 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS, hot: int = HOT) -> Da
     )
 
 
-def representatives(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
+def representatives(docs: DataFrame, radius: int = RADIUS, found: DataFrame | None = None) -> DataFrame:
     """docs with one document of each component left, the one with the smallest doc_id. Of repeated rows with that
-    doc_id the least row stays; rows with null doc_id can't be told apart from others and stay."""
-    found = near_duplicates(docs, radius).where("doc_id is not null").groupBy("doc_id").agg(
+    doc_id the least row stays; rows with null doc_id can't be told apart from others and stay. found: doc_id and
+    component_id, those of near_duplicates if None."""
+    found = near_duplicates(docs, radius) if found is None else found
+    found = found.where("doc_id is not null").groupBy("doc_id").agg(
         F.max(F.col("doc_id") == F.col("component_id")).alias("stay"), F.count("*").alias("times")
     )
     found = cut(found)

@@ -11,7 +11,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from cutlearn.llm import chat, components, decontam, html_extract, langid, line_dedup, mixing, quality, simhash, suffix_dedup, warc
+from cutlearn.llm import chat, components, decontam, html_extract, langid, line_dedup, mixing, near_jaccard, quality, simhash, suffix_dedup, warc
 from cutlearn.llm import queries as Q
 from tests.conftest import SF, same_rows
 
@@ -248,6 +248,50 @@ def test_one_document_of_each_group_stays(spark, awkward):
     assert sorted(str(r.doc_id) for r in kept.collect()) == sorted([*want, "None", "None"])
 
 
+def similar_components(rows):
+    def shingles(t):
+        w = WORD.findall("".join(c.lower() if "A" <= c <= "Z" else c for c in t or ""))
+        return {tuple(w[k : k + 5]) for k in range(len(w) - 4)} if len(w) > 4 else {tuple(w)}
+
+    sets = [shingles(t) for _, t, *_ in rows]
+    label = list(range(len(rows)))
+    links = [(a, b) for a in range(len(rows)) for b in range(a) if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b])]
+    for _ in rows:
+        before = list(label)
+        for a, b in links:
+            label[a] = label[b] = min(label[a], label[b])
+        if label == before:
+            break
+    least = {k: min((r[0] for j, r in enumerate(rows) if label[j] == k and r[0] is not None), default=None) for k in label}
+    return sorted((str(r[0]), str(least[k])) for r, k in zip(rows, label, strict=True))
+
+
+@pytest.mark.parametrize("many_pairs", [near_jaccard.MANY_PAIRS, 0])
+def test_near_copies_of_the_pipeline(spark, awkward, many_pairs):
+    import corpus_pipeline as P
+
+    rng = random.Random(5)
+    rows, at = list(awkward), 1000
+    for size in (1, 4, 7, 24, 25, 60, 200):
+        base = prose(rng, size).split()
+        for _ in range(12):
+            w = list(base)
+            for _ in range(rng.randrange(1 + size // 30 + (size > 20))):
+                w[rng.randrange(len(w))] = f"edit{rng.randrange(99)}"
+            w = w[: len(w) - rng.randrange(1 + size // 8)]
+            rows.append((at, " ".join(w), "en", "s", 1))
+            at += 1
+    passage = prose(rng, 40)
+    rows += [(at + k, passage + " " + prose(rng, 20), "en", "s", 1) for k in range(40)]  # one passage, no near copies
+    docs = clashing(frame(spark, rows))
+    got = near_jaccard.components(docs, many_pairs).collect()
+    want = similar_components(rows)
+    assert sorted((str(r.doc_id), str(r.component_id)) for r in got) == want
+    kept = P.near_copies(spark, docs, "")
+    assert kept.columns == docs.columns
+    assert sorted(str(r.doc_id) for r in kept.collect()) == sorted([*{i for i, c in want if i == c != "None"}, "None", "None"])
+
+
 # op 4 ----------------------------------------------------------------------------------------------------------------
 
 
