@@ -17,9 +17,9 @@ from cutlearn.llm.session import shared_dir
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without any letter have no language and go."""
+    """Documents without any letter have no language and go; without any label to learn from, the others still stay."""
     found = langid.identify(docs, langid.learn(docs), prefix="_found_")
-    return found.where(F.col("_found_lang_pred") != langid.UNKNOWN).select(*docs.columns)
+    return found.where((F.col("_found_lang_pred") != langid.UNKNOWN) | F.col("text").rlike(r"\p{L}")).select(*docs.columns)
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

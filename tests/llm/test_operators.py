@@ -513,6 +513,15 @@ def test_language_awkward_rows(spark, awkward):
     assert langid.learn(held) is None
 
 
+@pytest.mark.parametrize("label", [None, "und"])
+def test_language_stage_keeps_texts_with_letters(spark, awkward, label):
+    import corpus_pipeline as P
+
+    rows = [(i, t, label, s, n) for i, t, _, s, n in awkward] + [(100 + k, f"words here {k}", label, "s", 1) for k in range(20)]
+    kept = P.language(spark, clashing(frame(spark, rows)), "").collect()
+    assert sorted(r.text for r in kept) == sorted(t for _, t, *_ in rows if any(c.isalpha() for c in t or ""))
+
+
 def test_machines_separate_and_votes_decide():
     rng = np.random.default_rng(0)
     x = np.abs(rng.normal(size=(300, 40)))
