@@ -28,7 +28,8 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group linked by a five-word Jaccard similarity of 0.8 or more stays."""
+    """One document of each group stays: links of five-word SimHash covering tables and, beyond their radius, of an exact
+    prefix join, each confirmed by a five-word Jaccard similarity of 0.8 or more. Rows with null doc_id stay."""
     return simhash.representatives(docs, found=near_jaccard.components(docs))
 
 

@@ -1,15 +1,17 @@
-"""Near copies by exact Jaccard similarity of five-word shingles, without comparing all pairs.
+"""Near copies: covering SimHash proposes links, and each link is confirmed by exact Jaccard similarity.
 
-A document is the set of its shingles (64-bit hashes). Two sets of similarity t or more share an element among the
-first n - ceil(t n) + 1 of each, in any order that is the same for all sets. So every such pair meets under one of
-these prefix shingles, and none is lost. The order puts shingles that a task sees often last, so that prefixes hold rare ones;
-it only saves work and never changes a result.
+A document is the set of its five-word shingles (64-bit hashes); equal sets are one node. Links that simhash finds by its
+covering tables between five-word fingerprints come first: they join most copies, and large groups by few pairs. But sets
+of similarity 0.8 lie up to some 16 bits apart, far beyond any radius that covering tables can pay for, so an exact way
+finds the rest: two sets of similarity t or more share an element among the first n - ceil(t n) + 1 of each, in any order
+that is the same for all sets. So every such pair meets under one of these prefix shingles, and none is lost. The order puts
+shingles that a task sees often last, so that prefixes hold rare ones; it only saves work and never changes a result.
 
-Equal sets are one node. What stands before the first shingle that two sets share is in one of them only, which bounds
-their similarity; pairs that meet within this bound are confirmed by the exact similarity of their whole sets, and nodes of
-confirmed pairs form components (single links). Where many nodes meet under one shingle, rounds first confirm each node
-with one drawn leader, which joins large groups by few pairs; at last all pairs that still lie in different components
-are confirmed.
+What stands before the first shingle that two sets share is in one of them only, which bounds their similarity. Pairs within
+this bound and still in different components are held against each other's bit sketches (a shingle whose bit the other set
+lacks is not shared: again a bound, never a guess), and what passes is confirmed on the whole sets. Nodes of confirmed pairs
+form components (single links). Where many nodes meet under one shingle, rounds first confirm each node with one drawn
+leader; at last all pairs that still lie in different components are confirmed.
 
 Defined cases: words and case as in simhash; fewer than five words give one shingle of all of them; texts without words
 are equal to each other; rows with null doc_id count, but name no component (null if no row with an id is in it).
@@ -24,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from cutlearn.llm import simhash
 from cutlearn.llm import textblocks as tb
 from cutlearn.llm.components import star_components
 from cutlearn.llm.session import broadcast_if_small, cut, shuffle_parts
@@ -38,8 +41,10 @@ MANY_PAIRS = 4
 ROUNDS = 12
 #: Rows under one shingle up to which all their pairs are looked at when rows without partner are left out.
 SMALL = 64
-#: Nodes in pairs up to this number are broadcast (8 bytes each).
-NODES = 2_000_000
+#: Bits of a sketch for each shingle of a set, at least (a power of two in all).
+SKETCH_BITS = 2
+
+MARKED = "doc_id long, node long, fp long, n int, bits binary"
 
 
 def shingles_of(data: np.ndarray, offsets: np.ndarray, n: int = SHINGLE_WORDS) -> tuple[np.ndarray, np.ndarray]:
@@ -110,10 +115,44 @@ def prefixes(v: np.ndarray, first: np.ndarray, slots: np.ndarray, counts: np.nda
     return v[order][take], who[take], (size[who] - turn)[take]
 
 
+def sketches(v: np.ndarray, first: np.ndarray) -> pa.Array:
+    """A bitmap of each set, with the bit of each shingle set; its size is a power of two, 64 at least."""
+    size = np.diff(first)
+    width = np.int64(1) << np.ceil(np.log2(np.maximum(SKETCH_BITS * size, 64))).astype(np.int64)
+    begin = np.concatenate([[0], np.cumsum(width)])
+    who = np.repeat(np.arange(len(size)), size)
+    bits = np.zeros(begin[-1], bool)
+    bits[begin[who] + (v & (width[who] - 1).astype(np.uint64)).astype(np.int64)] = True
+    packed = np.packbits(bits, bitorder="little")
+    return pa.Array.from_buffers(pa.binary(), len(size), [None, pa.py_buffer((begin // 8).astype(np.int32)), pa.py_buffer(packed)])
+
+
+def most_common(n: int, bits: np.ndarray, other_n: int, other_bits: np.ndarray) -> int:
+    """How many shingles two sets can share at most by their bitmaps; the wider one is folded to the narrower."""
+    while len(bits) > len(other_bits):
+        bits = bits[: len(bits) // 2] | bits[len(bits) // 2 :]
+    while len(other_bits) > len(bits):
+        other_bits = other_bits[: len(other_bits) // 2] | other_bits[len(other_bits) // 2 :]
+    alone, other_alone = (int(np.bitwise_count(x).sum()) for x in (bits & ~other_bits, other_bits & ~bits))
+    return min(n - alone, other_n - other_alone)
+
+
 def _marker(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for lo, hi, data, offsets in tb.slices(batch.column(1)):
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(nodes_of(*shingles_of(data, offsets)).view(np.int64))], ["doc_id", "node"])
+            v, first = shingles_of(data, offsets)
+            fp = simhash.fingerprints_of(data, offsets, SHINGLE_WORDS)
+            cols = [pa.array(nodes_of(v, first).view(np.int64)), pa.array(fp.view(np.int64)), pa.array(np.diff(first).astype(np.int32)), sketches(v, first)]
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), *cols], ["doc_id", "node", "fp", "n", "bits"])
+
+
+def _sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows a, b, n_a, n_b, bits_a, bits_b the pairs that can be similar enough."""
+    for batch in batches:
+        n_a, n_b = (batch.column(k).to_pylist() for k in (2, 3))
+        bits = [[np.frombuffer(x, np.uint8) for x in batch.column(k).to_pylist()] for k in (4, 5)]
+        keep = [(OVER + UNDER) * most_common(n, x, m, y) >= OVER * (n + m) for n, m, x, y in zip(n_a, n_b, *bits, strict=True)]
+        yield pa.RecordBatch.from_arrays([c.filter(pa.array(keep, pa.bool_())) for c in batch.columns[:2]], ["a", "b"])
 
 
 def _meeter(shared):
@@ -198,11 +237,31 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(nodes_of(v, first).view(np.int64)), lists], ["node", "v"])
 
 
-def confirmed(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose sets are similar enough, exactly."""
+def confirmed(pairs: DataFrame, nodes: DataFrame, docs: DataFrame) -> DataFrame:
+    """The pairs (a, b) of nodes whose sets are similar enough, exactly. nodes: node, n, bits. Whole sets travel only for
+    pairs that their sketches leave open."""
+    one, two = (nodes.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col("bits").alias(f"bits_{c}")) for c in "ab")
+    open_ = pairs.join(one, "a").join(two, "b").select("a", "b", "n_a", "n_b", "bits_a", "bits_b")
+    open_ = cut(open_.mapInArrow(_sketched, "a long, b long"))
+    if open_.isEmpty():
+        return open_
+    wanted = cut(open_.select(F.col("a").alias("node")).union(open_.select("b")).distinct())
+    sets = docs.select("text").mapInArrow(_sets, "node long, v array<long>")
+    sets = cut(sets.join(broadcast_if_small(wanted, wanted.count()), "node", "left_semi").dropDuplicates(["node"]))
     one, two = (sets.select(F.col("node").alias(c), F.col("v").alias(f"v_{c}")) for c in "ab")
     both = F.size(F.array_intersect("v_a", "v_b"))
-    return pairs.join(one, "a").join(two, "b").where(both * (OVER + UNDER) >= (F.size("v_a") + F.size("v_b")) * OVER).select("a", "b")
+    return open_.join(one, "a").join(two, "b").where(both * (OVER + UNDER) >= (F.size("v_a") + F.size("v_b")) * OVER).select("a", "b")
+
+
+def covered_pairs(nodes: DataFrame, radius: int = simhash.RADIUS) -> DataFrame:
+    """a, b: links between nodes whose fingerprints are equal, or that simhash's covering tables connect."""
+    heads = cut(nodes.groupBy("fp").agg(F.min("node").alias("head")))
+    same = nodes.join(heads, "fp").select(F.col("node").alias("a"), F.col("head").alias("b"))
+    found = simhash.links(heads.select("fp"), radius)
+    one, two = (heads.select(F.col("fp").alias(c), F.col("head").alias(f"head_{c}")) for c in "ab")
+    near = found.join(one, "a").join(two, "b").select(F.col("head_a").alias("a"), F.col("head_b").alias("b"))
+    every = same.union(near).where("a <> b")
+    return every.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def _pairs(rows: DataFrame, left: str, right: str) -> DataFrame:
@@ -215,24 +274,22 @@ def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
     """doc_id, node, component_id (the smallest doc_id that links reach) for each row of docs."""
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(frequent_slots(docs))
-    marked = cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_marker, "doc_id long, node long"))
+    marked = cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_marker, MARKED))
+    nodes = cut(marked.select("node", "fp", "n", "bits").dropDuplicates(["node"]))
+    found = cut(confirmed(covered_pairs(nodes), nodes, docs))
+    before, gained, roots = found.count(), True, star_components(found)
     met = docs.select("text").mapInArrow(_meeter(shared), "key long, node long, n int, rest int")
     met = met.repartition(shuffle_parts(spark), "key").sortWithinPartitions("key", "n", "node")
     met = cut(met.mapInArrow(_partners, "key long, node long, n long, rest long"))
-    nodes = met.select("node").distinct()
-    nodes = broadcast_if_small(nodes, nodes.count(), NODES)
-    sets = cut(docs.select("text").mapInArrow(_sets, "node long, v array<long>").join(nodes, "node", "left_semi").dropDuplicates(["node"]))
-    found, before = None, 0
-    roots = spark.createDataFrame([], "node long, root long")
     for turn in range(ROUNDS + 1):
         placed = met.join(roots, "node", "left").select("key", "node", "n", "rest", F.coalesce("root", "node").alias("root"))
-        open_keys = placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key")
+        open_keys = cut(placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key"))
         placed = cut(placed.join(open_keys, "key"))
         apart = placed.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.sum("c").alias("c"), F.sum(F.col("c") * F.col("c")).alias("cc"))
         rows, pairs = apart.agg(F.coalesce(F.sum("c"), F.lit(0)), F.coalesce(F.sum((F.col("c") * F.col("c") - F.col("cc")) / 2), F.lit(0))).first()
         if not rows:
             break
-        last = pairs <= many_pairs * rows or turn == ROUNDS or turn > 0 and found is not None and not gained
+        last = pairs <= many_pairs * rows or turn == ROUNDS or not gained
         if last:
             other = placed.select("key", *(F.col(c).alias(f"other_{c}") for c in ("n", "rest", "root")), F.col("node").alias("other"))
             wanted = _pairs(placed.join(other, "key").where("node < other"), "node", "other")
@@ -240,8 +297,7 @@ def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
             leader = placed.groupBy("key").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("draw"), "node", "n", "rest", "root")).alias("l"))
             leader = leader.select("key", F.col("l.node").alias("other"), F.col("l.n").alias("other_n"), F.col("l.rest").alias("other_rest"), F.col("l.root").alias("other_root"))
             wanted = _pairs(placed.join(leader, "key"), "node", "other")
-        new = confirmed(wanted, sets)
-        found = cut(new if found is None else found.unionByName(new))
+        found = cut(found.unionByName(confirmed(wanted, nodes, docs)))
         total = found.count()
         gained, before = total > before, total
         roots = star_components(found)

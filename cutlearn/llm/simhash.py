@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from cutlearn.llm import textblocks as tb
 from cutlearn.llm.components import star_components
-from cutlearn.llm.session import cut, shuffle_parts
+from cutlearn.llm.session import broadcast_if_small, cut, shuffle_parts
 
 RADIUS, SEED, SHINGLE_WORDS, MASK_SEED = 3, 42, 3, 20_240_229
 #: Fingerprints of a bucket that are compared in one piece.
@@ -192,15 +192,18 @@ def representatives(docs: DataFrame, radius: int = RADIUS, found: DataFrame | No
     doc_id the least row stays; rows with null doc_id can't be told apart from others and stay. found: doc_id and
     component_id, those of near_duplicates if None."""
     found = near_duplicates(docs, radius) if found is None else found
-    found = found.where("doc_id is not null").groupBy("doc_id").agg(
-        F.max(F.col("doc_id") == F.col("component_id")).alias("stay"), F.count("*").alias("times")
+    found = cut(
+        found.where("doc_id is not null").groupBy("doc_id").agg(
+            F.max(F.col("doc_id") == F.col("component_id")).alias("stay"), F.count("*").alias("times")
+        ).where("not stay or times > 1")
     )
-    found = cut(found)
-    stays = docs.doc_id.isNull() | found.stay
-    joined = docs.join(found, docs.doc_id == found.doc_id, "left").where(stays)
-    own = [docs[c] for c in docs.columns]
-    single = joined.where((found.times == 1) | docs.doc_id.isNull()).select(*own)
-    if found.where("stay and times > 1").isEmpty():
-        return single
-    rows = joined.where(found.times > 1).select(docs.doc_id.alias("id"), F.struct(*own).alias("row"))
-    return single.unionByName(rows.groupBy("id").agg(F.min("row").alias("row")).select("row.*"))
+    # only ids that go travel; few are broadcast, and texts are shuffled only beside many
+    gone = found.where("not stay").select("doc_id")
+    left = docs.join(broadcast_if_small(gone, gone.count()), "doc_id", "left_anti").select(*docs.columns)
+    again = found.where("stay").select("doc_id")
+    times = again.count()
+    if not times:
+        return left
+    again = broadcast_if_small(again, times)
+    rows = left.join(again, "doc_id", "left_semi").select(F.col("doc_id").alias("id"), F.struct(*docs.columns).alias("row"))
+    return left.join(again, "doc_id", "left_anti").select(*docs.columns).unionByName(rows.groupBy("id").agg(F.min("row").alias("row")).select("row.*"))
