@@ -6,8 +6,10 @@ continuations by origin, orders them by number, checks that none is missing and
 takes off the framing. Records repeat a payload as a revisit when another page's response holds it.
 
 Archives are text of Spark's own writer (gzip) with the record end as line separator, so they lie in any store that
-Spark reaches and are written again by themselves if an executor is lost. Chunks break apart the version string
-wherever a payload has it, so a record never seems to end inside a payload. `parse_archive` reads foreign archives.
+Spark reaches and are written again by themselves if an executor is lost. They are read back by the version line, which
+nothing before it can overlap with; chunks break the version string apart wherever a payload has it, so no payload holds
+that line. Bytes beyond a record's length are a problem of the record, and a round trip that reads more or fewer records
+than it wrote pages raises. `parse_archive` reads foreign archives.
 
 Defined cases: a null html is an empty payload; a null url leaves out its field; a page with null page_id is written
 under the id `null` and gives its payload to nobody else's revisit unless all equal ones have null ids; repeated rows
@@ -77,7 +79,8 @@ def dechunk(body: bytes) -> bytes:
 
 def _record(fields: list[tuple[str, str | None]], block: bytes) -> bytes:
     safe = lambda v: re.sub(r"[\x00-\x20\x7f]", lambda m: f"%{ord(m[0]):02X}", v)
-    lines = [f"{k}: {safe(str(v)) if k == 'WARC-Target-URI' else v}\r\n" for k, v in fields if v is not None]
+    # a blank keeps an address that ends in the version from making a version line
+    lines = [f"{k}: {safe(str(v)) + ' ' * str(v).endswith(VERSION[:-2].decode()) if k == 'WARC-Target-URI' else v}\r\n" for k, v in fields if v is not None]
     return VERSION + "".join(lines).encode() + b"Content-Length: %d\r\n\r\n" % len(block) + block
 
 
@@ -108,11 +111,17 @@ def page_records(page_id: int | None, url: str | None, payload: bytes, digest: s
 
 def parse_record(data: bytes) -> tuple[dict[str, str], bytes]:
     """(fields by lower-case name, block) of one record, with or without its version line."""
+    return split_record(data)[:2]
+
+
+def split_record(data: bytes) -> tuple[dict[str, str], bytes, bytes]:
+    """(fields by lower-case name, block, what stands behind the block)."""
     if data.startswith(b"WARC/"):
         data = data[data.index(b"\r\n") + 2 :]
     head, _, rest = data.partition(END)
     fields = {k.strip().lower(): v.strip() for k, _, v in (line.partition(":") for line in head.decode("utf-8", "replace").split("\r\n")) if k}
-    return fields, rest[: int(fields.get("content-length", len(rest)))]
+    n = int(fields.get("content-length", len(rest)))
+    return fields, rest[:n], rest[n:]
 
 
 def parse_archive(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
@@ -195,12 +204,14 @@ def _parser(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for a, z in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
                 if not raw[a:z].strip():
                     continue
-                f, block = parse_record(raw[a:z])
+                f, block, beyond = split_record(raw[a:z])
                 number, kind = int(f.get("warc-segment-number", 0)), f.get("warc-type")
                 origin = _id(f.get("warc-segment-origin-id")) or _id(f.get("warc-record-id"))
                 size = digest = problem = None
                 if len(block) != int(f.get("content-length", -1)):
                     problem = "the record is cut off"
+                elif beyond not in (b"", END):
+                    problem = f"{len(beyond)} bytes beyond the record"
                 elif kind == "revisit":
                     n = re.search(rb"(?im)^content-length:\s*(\d+)", block)
                     size, digest = int(n[1]) if n else None, f.get("warc-payload-digest", "").removeprefix("sha1:")
@@ -228,8 +239,7 @@ def _assembler(with_payload: bool):
                     payload = payload_of({}, assemble([(s["segment"], s["total"], s["block"]) for s in r["segments"]]))
                 except (ValueError, KeyError) as e:
                     problem = str(e)
-                firsts = sum(s["segment"] == 1 for s in r["segments"])
-                rows.append((r["origin"], "response", None, r["digest"], len(payload) if payload is not None else None, hashlib.sha1(payload).hexdigest() if payload is not None else None, r["url"], max(firsts, 1), payload if with_payload else None, problem))
+                rows.append((r["origin"], "response", None, r["digest"], len(payload) if payload is not None else None, hashlib.sha1(payload).hexdigest() if payload is not None else None, r["url"], r["copies"] or 1, payload if with_payload else None, problem))
             kinds = {"string": pa.string(), "long": pa.int64(), "binary": pa.binary()}
             cols = ASSEMBLED.split(", ")
             yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in rows], kinds[c.split()[1]]) for k, c in enumerate(cols)], [c.split()[0] for c in cols])
@@ -239,11 +249,14 @@ def _assembler(with_payload: bool):
 
 def read_pages(spark: SparkSession, path: str, with_payload: bool = False) -> DataFrame:
     """Columns of ASSEMBLED for each record; segmented ones are whole again. Only segments are shuffled."""
-    lines = spark.read.option("lineSep", (END + VERSION).decode()).text(path)
+    lines = spark.read.option("lineSep", VERSION.decode()).text(path)
     parsed = cut(lines.mapInArrow(_parser, PARSED))
     whole = parsed.where("segment is null").select("record_id", "record_type", "refers", "digest", "payload_bytes", "payload_digest", "url", F.lit(1).cast("long").alias("copies"), F.lit(None).cast("binary").alias("payload"), "problem")
-    groups = parsed.where("segment is not null").groupBy("origin").agg(
-        F.max("digest").alias("digest"), F.max("url").alias("url"), F.collect_list(F.struct("segment", "total", "block")).alias("segments")
+    # equal segments of repeated records are one, so a group is never larger than its record
+    once = parsed.where("segment is not null").groupBy("origin", "segment", "total", "block").agg(F.max("digest").alias("digest"), F.max("url").alias("url"), F.count("*").alias("times"))
+    groups = once.groupBy("origin").agg(
+        F.max("digest").alias("digest"), F.max("url").alias("url"), F.collect_list(F.struct("segment", "total", "block")).alias("segments"),
+        F.max(F.when(F.col("segment") == 1, F.col("times"))).alias("copies"),
     )
     return whole.unionByName(groups.mapInArrow(_assembler(with_payload), ASSEMBLED))
 
@@ -255,6 +268,9 @@ def round_trip(pages: DataFrame) -> DataFrame:
     write_pages(pages, path)
     read = cut(read_pages(spark, path))
     drop_path(spark, path)
+    wrote, got = pages.count(), read.agg(F.coalesce(F.sum("copies"), F.lit(0))).first()[0]
+    if wrote != got:
+        raise RuntimeError(f"{wrote} pages were written and {got} records read back")
     number = lambda c: F.regexp_extract(c, rf"^{ID}:(-?\d+):", 1).try_cast("long")
     rows = read.withColumn("page_id", number(F.col("record_id"))).withColumn("refers_to", number(F.col("refers")))
     once = rows.withColumn("nth", F.explode(F.sequence(F.lit(1).cast("long"), "copies")))
