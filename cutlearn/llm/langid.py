@@ -6,7 +6,8 @@ vector machines (squared hinge loss) tell each family from the others; inside a
 languages votes, and ties go to the larger sum of margins, then to the smaller code.
 
 Machines are fitted on the driver from at most SAMPLE_PER_LANGUAGE labelled rows of each language, those with the
-least hashes of doc_id among training rows; everything else covers all rows. Features of the sample are computed on
+least hashes of doc_id among training rows (of rows with one doc_id and language the least text counts, so equal ids
+can't swell the sample); everything else covers all rows. Features of the sample are computed on
 the executors.
 
 Defined cases: `und` with score 0 if the text is null, has no letter, or nothing could be learned; one learned
@@ -158,15 +159,15 @@ def learn(docs: DataFrame, sample: int = SAMPLE_PER_LANGUAGE) -> Model | None:
     """Reads ids and labels of all rows, and the texts of the sample."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "lang").where("doc_id is not null and lang is not null")
     rows = rows.where(fold_of() != HELD_OUT).withColumn("draw", F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)))
-    counts = {r.lang: r.n for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    counts = {r.lang: r.n for r in rows.groupBy("lang").agg(F.approx_count_distinct("draw").alias("n")).collect()}
     if not counts:
         return None
     # twice the wanted share of the hash space, then exactly the least hashes of each language
     share = F.create_map(*[v for lang, n in sorted(counts.items()) for v in (F.lit(lang), F.lit(int(min(1.0, 2 * (sample + 50) / n) * (1 << 40))))])
     near = rows.where(F.col("draw") <= share[F.col("lang")])
-    cuts = near.groupBy("lang").agg(F.sort_array(F.collect_list("draw")).alias("d")).select("lang", F.element_at("d", F.least(F.size("d"), F.lit(sample))).alias("last")).collect()
+    cuts = near.groupBy("lang").agg(F.sort_array(F.collect_set("draw")).alias("d")).select("lang", F.element_at("d", F.least(F.size("d"), F.lit(sample))).alias("last")).collect()
     last = F.create_map(*[v for r in sorted(cuts) for v in (F.lit(r.lang), F.lit(r["last"]))])
-    chosen = near.where(F.col("draw") <= last[F.col("lang")]).select("lang", "text")
+    chosen = near.where(F.col("draw") <= last[F.col("lang")]).groupBy("lang", "draw").agg(F.min("text").alias("text")).select("lang", "text")
     got = sorted((r.lang, bytes(r.x)) for r in chosen.mapInArrow(_vectors, "lang string, x binary").collect())
     x = np.array([np.frombuffer(v, np.float32) for _, v in got], np.float64).reshape(-1, DIMENSIONS)
     return fit(np.hstack([x, np.ones((len(x), 1))]), [c for c, _ in got])
