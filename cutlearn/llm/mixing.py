@@ -42,10 +42,16 @@ def sized(docs: DataFrame) -> DataFrame:
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, total: float = TOTAL_SHARE, most: float = MOST) -> DataFrame:
-    """source, source_size, target. One row per source is ranked in one task; documents never are."""
-    rank = F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1
+    """source, source_size, target. Sources are dealt by ranges of their names and ranked inside each, so however many
+    there are, no task sees them all."""
+    n, spark = shuffle_parts(sizes.sparkSession), sizes.sparkSession
+    rows = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n_docs"))
+    rows = cut(rows.repartitionByRange(n, F.col("source").asc_nulls_last()).withColumn("range", F.spark_partition_id()))
+    held = dict(rows.groupBy("range").agg(F.count("*").alias("n")).collect())  # a row per range
+    before = spark.createDataFrame([(k, sum(m for j, m in held.items() if j < k)) for k in sorted(held)], "range int, before long")
+    rank = F.row_number().over(Window.partitionBy("range").orderBy(F.col("source").asc_nulls_last())) - 1 + F.col("before")
     weight = F.element_at(F.array(*map(F.lit, weights)), (rank % len(weights) + 1).cast("int")).cast("double")
-    rows = cut(sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n_docs")).withColumn("weight", weight))
+    rows = cut(rows.join(F.broadcast(before), "range").withColumn("weight", weight).drop("range", "before"))
     limit = most * F.col("source_size")
     whole = rows.agg(F.sum("source_size")).first()[0] or 0
     per_weight = 0.0
