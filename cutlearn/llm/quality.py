@@ -26,8 +26,8 @@ from cutlearn.llm.session import broadcast_if_small
 BUCKETS = 1 << 17
 #: Log-ratio per n-gram, in micro-nats, under which a document goes.
 THRESHOLD = -500_000
-#: Labelled rows up to this number are broadcast (8 bytes each); more are joined by a shuffle.
-LABEL_ROWS = 2_000_000
+#: Labelled rows up to this number are broadcast (some 100 bytes each); more are joined by a shuffle.
+LABEL_ROWS = 200_000
 SMOOTHING = 0.5
 MIN_WORDS, MAX_REPEAT_PERCENT = 50, 50
 
