@@ -6,8 +6,8 @@ Texts and roles can't forge a mark: each `<`, any backslashes and `|` in them ge
 takes away again.
 
 Defined cases: a null text or role is empty; rows sort by turn (null first), then role, then text; repeated rows are
-turns of their own; rows with null conv_id form one conversation; other columns are ignored; an empty table gives
-no rows.
+turns of their own; a row with null conv_id belongs to no other and is a conversation by itself; other columns are
+ignored; an empty table gives no rows. The tokenizer's file is a parameter, read on every executor.
 """
 
 from __future__ import annotations
@@ -56,6 +56,8 @@ def tokenizer(path: str):
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import AddedToken, Tokenizer
 
+    if not os.path.exists(path):
+        raise FileNotFoundError(f"no tokenizer at {path}: give format_conversations() the path of one as `path`")
     t = Tokenizer.from_file(path)
     t.add_special_tokens([AddedToken(x, normalized=False, special=True) for x in (OPEN, MIDDLE, CLOSE)])
     # the stock step after encoding trims blanks from offsets, which would leave them out of the mask
@@ -104,9 +106,11 @@ def _formatter(path: str, loss_roles: tuple[str, ...]):
 
 def format_conversations(turns: DataFrame, path: str = TOKENIZER, loss_roles: tuple[str, ...] = ("assistant",)) -> DataFrame:
     """One row per conversation with its text, tokens and loss mask. A conversation is one output row, so its turns
-    meet in one task; there is one shuffle."""
+    meet in one task; there is one shuffle. Rows without conv_id aren't shuffled."""
     row = F.struct("turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    grouped = turns.groupBy(F.col("conv_id").cast("long").alias("conv_id")).agg(F.sort_array(F.collect_list(row)).alias("turns"))
+    rows = turns.select(F.col("conv_id").cast("long").alias("conv_id"), row.alias("row"))
+    grouped = rows.where("conv_id is not null").groupBy("conv_id").agg(F.sort_array(F.collect_list("row")).alias("turns"))
+    grouped = grouped.unionByName(rows.where("conv_id is null").select("conv_id", F.array("row").alias("turns")))
     return grouped.mapInArrow(_formatter(path, tuple(loss_roles)), FORMATTED)
 
 
