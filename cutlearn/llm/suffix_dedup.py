@@ -16,7 +16,9 @@ in the other shards' sorted lists.
 
 Defined cases: a null text is empty; texts under SPAN bytes lose nothing; repeated rows repeat each other and lose
 all they can; rows with one doc_id are documents of their own unless their texts are equal as well; a null doc_id is
-a value like any other; other columns are ignored. Equality of segments rests on two independent 64-bit hashes.
+a value like any other; other columns are ignored. Equality of segments rests on two 64-bit hashes of different kinds: a
+polynomial one of the anchor and XXH3 of all bytes. A text over LONG_BYTES is read in pieces that overlap by a window, so
+a very long one needs no more memory for its hashes than a short one; the removal itself takes some 10 bytes a byte.
 """
 
 from __future__ import annotations
@@ -27,6 +29,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -37,14 +40,17 @@ SPAN, ANCHOR = 400, 128
 #: Bytes of text that a shard sorts at once, and segments of one anchor that stay in one shard.
 SHARD_BYTES = 1_000_000
 SHARD_SEGMENTS = 4_000
+#: Bytes of one text whose windows are hashed at once.
+LONG_BYTES = 4 << 20
 
 ANCHORS = "doc_id long, th int, pos int, nwin int, ah long, sh long"
 REMOVED = "doc_id long, th int, s int, e int"
 
 
 def sliding_argmin(h: np.ndarray, width: int) -> np.ndarray:
-    """Place of the least of each `width` consecutive hashes, the leftmost of equals (by their high bits)."""
-    bits = np.uint64(max(1, int(len(h)).bit_length()))
+    """Place of the least of each `width` consecutive hashes, the leftmost of equals by their high bits: as many for
+    every length of h, so that equal windows choose equally wherever they stand."""
+    bits = np.uint64(32)
     low = (np.uint64(1) << bits) - np.uint64(1)
     key = (h & ~low) | np.arange(len(h), dtype=np.uint64)
     reach = 1
@@ -74,21 +80,31 @@ def anchors_of(data: np.ndarray, offsets: np.ndarray, span: int = SPAN, anchor:
     count = np.diff(np.append(start, m))
     good = inside[start]
     start, count = start[good], count[good]
-    # the segment hash runs over other byte values than the anchor hash: it is mixed with the hash of its halves
-    end = start + count + span - 1
-    half = (start + end) // 2
-    sh = tb.mix(ranges.of(start, half) * tb.MIX_A + tb.mix(ranges.of(half, end)) + count.astype(np.uint64))
+    raw, digest = data.tobytes(), xxhash.xxh3_64_intdigest
+    sh = np.fromiter((digest(raw[a:z]) for a, z in zip(start.tolist(), (start + count + span - 1).tolist(), strict=True)), np.uint64, len(start))
     return doc[start].astype(np.int64), start, count, h[pick[start]], sh
 
 
+def pieces(data: np.ndarray, offsets: np.ndarray, span: int = SPAN, long: int = LONG_BYTES) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(first byte, bytes, offsets): the slice itself, or overlapping pieces of a single long text. Each window lies in
+    exactly one piece."""
+    if len(offsets) > 2 or len(data) < long + span:
+        yield 0, data, offsets
+        return
+    for at in range(0, len(data) - span + 1, long):
+        part = data[at : at + long + span - 1]
+        yield at, part, np.array([0, len(part)])
+
+
 def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for lo, hi, data, offsets in tb.slices(batch.column(2)):
-            doc, start, count, ah, sh = anchors_of(data, offsets)
-            rows = pa.array(doc)
-            cols = [batch.column(k).slice(lo, hi - lo).take(rows) for k in (0, 1)]
-            cols += [pa.array(x.astype(np.int32)) for x in (start - offsets[doc], count)] + [pa.array(x.view(np.int64)) for x in (ah, sh)]
-            yield pa.RecordBatch.from_arrays(cols, ["doc_id", "th", "pos", "nwin", "ah", "sh"])
+        for lo, hi, whole, every in tb.slices(batch.column(2)):
+            for at, data, offsets in pieces(whole, every):
+                doc, start, count, ah, sh = anchors_of(data, offsets)
+                rows = pa.array(doc)
+                cols = [batch.column(k).slice(lo, hi - lo).take(rows) for k in (0, 1)]
+                cols += [pa.array(x.astype(np.int32)) for x in (start - offsets[doc] + at, count)] + [pa.array(x.view(np.int64)) for x in (ah, sh)]
+                yield pa.RecordBatch.from_arrays(cols, ["doc_id", "th", "pos", "nwin", "ah", "sh"])
 
 
 def suffix_ranks(text: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
@@ -245,7 +261,8 @@ def _sorter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             hashes = tb.RangeHash(body)
             a = offs[segment[cand]] + offset[cand]
             wh = hashes.of(a, a + SPAN)
-            wh2 = tb.mix(hashes.of(a, a + SPAN // 2) * tb.MIX_B + hashes.of(a + SPAN // 2, a + SPAN))
+            raw = body.tobytes()
+            wh2 = np.fromiter((xxhash.xxh3_64_intdigest(raw[x : x + SPAN]) for x in a.tolist()), np.uint64, len(a))
             open_ = single[cand] & (times[classes[cand]] == 1)
             row = segment[cand]
             k = len(cand)
@@ -285,10 +302,12 @@ def _merger(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     rest: pa.Table | None = None
 
     def work(t: pa.Table) -> pa.RecordBatch:
-        h = tb.mix(t["wh"].to_numpy().view(np.uint64)) + t["wh2"].to_numpy().view(np.uint64)
-        order = np.sort(h)
+        wh, wh2 = t["wh"].to_numpy(), t["wh2"].to_numpy()
+        new = np.ones(len(wh), np.int64)
+        new[1:] = (wh[1:] != wh[:-1]) | (wh2[1:] != wh2[:-1])
+        rank = np.cumsum(new)  # the place of each pair of hashes among the different ones, in sorted order
         open_ = np.flatnonzero(t["kind"].to_numpy(zero_copy_only=False) == "open")
-        found = np.searchsorted(order, h[open_], "right") - np.searchsorted(order, h[open_], "left")
+        found = np.searchsorted(rank, rank[open_], "right") - np.searchsorted(rank, rank[open_], "left")
         rows = pa.array(open_[found > 1])
         return pa.RecordBatch.from_arrays([t[c].combine_chunks().take(rows) for c in ("doc_id", "th", "s", "e")], ["doc_id", "th", "s", "e"])
 
@@ -378,7 +397,7 @@ def _applier(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 change = np.zeros(len(raw) + 1, np.int32)
                 np.add.at(change, own.field("s").to_numpy(), 1)
                 np.add.at(change, own.field("e").to_numpy(), -1)
-                gone = np.cumsum(change[:-1]) > 0
+                gone = np.cumsum(change[:-1], dtype=np.int32) > 0
                 spans = int(gone[0]) + int((gone[1:] & ~gone[:-1]).sum())
                 left = raw[~gone].tobytes()
                 out.append((len(raw), int(gone.sum()), spans, hashlib.sha256(left).hexdigest(), left))
