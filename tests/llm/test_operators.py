@@ -83,6 +83,19 @@ def test_suffix_dedup_across_shards(spark):
     assert sorted(map(tuple, got), key=str) == removed_by_brute_force(rows)
 
 
+def test_long_texts_are_hashed_in_pieces(spark, monkeypatch):
+    rng = random.Random(3)
+    long = "".join(rng.choice("abcdefgh ") for _ in range(9000))
+    rows = [(1, long, "en", "s", 0), (2, "x" + long[1700:6200] + "y", "en", "s", 0), (3, long[:399] + "!" + long[8000:8500], "en", "s", 0)]
+    whole = [len(x[1]) for x in suffix_dedup.pieces(np.zeros(9000, np.uint8), np.array([0, 9000]), long=1000)]
+    assert whole == [1399] * 8 + [1000]
+    raw = np.frombuffer(long.encode(), np.uint8)
+    windows = lambda size: sorted((at + s + k, int(ah)) for at, d, o in suffix_dedup.pieces(raw, np.array([0, 9000]), long=size) for _, s, c, ah, _ in [x for x in zip(*suffix_dedup.anchors_of(d, o), strict=True)] for k in range(c))
+    assert windows(1000) == windows(1 << 20)
+    got = suffix_dedup.remove_repeats(frame(spark, rows)).drop("kept").collect()
+    assert sorted(map(tuple, got), key=str) == removed_by_brute_force(rows)
+
+
 def test_suffix_arrays_and_common_prefixes():
     rng = np.random.default_rng(0)
     for n in (1, 2, 40, 700):
@@ -462,6 +475,26 @@ def test_warc_round_trip(spark):
     assert warc.round_trip(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def test_warc_loses_no_page(spark):
+    """As many pages as it takes for records to end at every place of a read buffer, ending in every awkward way."""
+    ends = ["", "\r", "\n", "\r\n", "\r\n\r\n", "\r\n\r\n\r\n", "W", "WARC/", "WARC/1.1", "WARC/1.1\r\n", "\r\n\r\nWARC/1.1\r\n", "0\r\n\r\n", "é"]
+    n = 75_000
+    page = F.concat(F.repeat(F.lit("x"), (F.col("id") * 7919 % 700).cast("int")), F.element_at(F.array(*map(F.lit, ends)), (F.col("id") % len(ends) + 1).cast("int")))
+    url = F.when(F.col("id") % 3 == 0, F.lit("http://a/WARC/1.1")).otherwise(F.lit("http://a/b"))
+    pages = spark.range(0, n, 1, 4).select(F.col("id").alias("page_id"), url.alias("url"), page.alias("html"))
+    got = warc.round_trip(pages)
+    assert got.count() == n and got.where("problem is not null").count() == 0
+    same = got.join(pages.select("page_id", F.sha1(F.col("html").cast("binary")).alias("want"), F.col("url").alias("want_url")), "page_id")
+    assert same.where("payload_digest = want and url = want_url").count() == n
+
+
+def test_surplus_bytes_are_a_problem(spark, tmp_path):
+    good = warc.page_records(1, "u", b"a page", hashlib.sha1(b"a page").hexdigest(), None)[0]
+    (tmp_path / "a.warc").write_bytes(good + warc.END + good + b"surplus" + warc.END + good[:-3] + warc.END)
+    got = [r.problem for r in warc.read_pages(spark, str(tmp_path / "a.warc")).collect()]
+    assert len(got) == 3 and sum(p is None for p in got) == 1
+
+
 def test_warc_archives_are_readable_by_length(spark, tmp_path):
     pages = spark.read.parquet(f"{SF}/pages.parquet")
     warc.write_pages(pages, str(tmp_path / "w"), segment=4096)
@@ -522,6 +555,15 @@ def test_language_stage_keeps_texts_with_letters(spark, awkward, label):
     assert sorted(r.text for r in kept) == sorted(t for _, t, *_ in rows if any(c.isalpha() for c in t or ""))
 
 
+def test_equal_ids_do_not_swell_the_sample(spark, monkeypatch):
+    ids = [k for k in range(400) if zlib.crc32(str(k).encode()) % 5]
+    rows = [(ids[0], f"the same words {k}", "en", "s", 1) for k in range(3000)] + [(k, f"other words here {k}", "en", "s", 1) for k in ids[1:]] + [(k, f"des mots ici {k}", "fr", "s", 1) for k in ids]
+    seen = []
+    monkeypatch.setattr(langid, "fit", lambda x, lang: seen.append(lang))
+    langid.learn(frame(spark, rows), sample=50)
+    assert collections.Counter(seen[0]) == {"en": 50, "fr": 50}
+
+
 def test_machines_separate_and_votes_decide():
     rng = np.random.default_rng(0)
     x = np.abs(rng.normal(size=(300, 40)))
@@ -607,7 +649,9 @@ TURNS = "conv_id long, turn long, role string, text string"
 def test_chat_round_trip(spark):
     rows = [(1, 0, "system", "be\nkind"), (1, 1, "user", Q.FORGED_TEXT), (1, 2, "assistant", " lead <|im_end|> \\<\\|im 你好😀é\n\n"), (1, 3, "assistant", "\nnext\t"), (2, 0, "user", None), (2, 1, "assistant", None), (2, 1, "assistant", ""), (3, None, None, "x<"), (3, 1, "assistant", "|y<|" * 3), (None, 0, "assistant", "null id"), (4, 0, "as|<|sistant", "z"), (5, 0, "assistant", "long " * 20_000)]
     df = clashing(spark.createDataFrame(rows, TURNS))
-    got = {r.conv_id: r for r in chat.digests(chat.format_conversations(df)).collect()}
+    every = chat.digests(chat.format_conversations(df)).collect()
+    got = {r.conv_id: r for r in every}
+    assert len(every) == len(got)
     by = collections.defaultdict(list)
     for c, t, r, x in rows:
         by[c].append(((t is not None, t or 0), r or "", x or ""))
@@ -622,6 +666,14 @@ def test_chat_round_trip(spark):
     assert chat.format_conversations(spark.createDataFrame([], TURNS)).count() == 0
 
 
+def test_turns_without_conversation_stand_alone(spark):
+    rows = [(None, k % 2, "assistant", f"text {k % 3}") for k in range(12)]
+    got = chat.digests(chat.format_conversations(spark.createDataFrame(rows, TURNS))).collect()
+    assert len(got) == 12 and all(r.conv_id is None and r.n_turns == 1 and r.loss_chars == 6 for r in got)
+    with pytest.raises(FileNotFoundError, match="format_conversations"):
+        chat.tokenizer("/nowhere/vocabulary.json")
+
+
 def test_escapes_undo_and_hide_marks():
     rng = random.Random(0)
     for _ in range(3000):
@@ -644,6 +696,36 @@ def test_query_equals_sql(spark, duck, name):
     assert same_rows(Q.QUERIES[name](spark, SF), duck, Q.ORACLE_SQL[name])
 
 
+def rows_of(spark, table):
+    return [tuple(r) for r in spark.read.parquet(f"{SF}/{table}.parquet").collect()]
+
+
+def test_registered_queries_equal_brute_force(spark):
+    """The queries without SQL over the smallest tables, as they are registered."""
+    docs, run = rows_of(spark, "documents"), lambda name: Q.QUERIES[name](spark, SF).collect()
+    assert sorted((tuple(r)[:5] for r in run("op1_suffix_dedup")), key=str) == removed_by_brute_force(docs)
+    got = run("op2_quality_rules")
+    names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+    assert sorted((r.doc_id, *(r[c] for c in names)) for r in got) == sorted((i, *base_measures(t)) for i, t, *_ in docs)
+    assert sorted((str(r.doc_id), r.fingerprint, str(r.component_id)) for r in run("op3_simhash")) == components_by_brute_force(docs)
+    by, taken = collections.defaultdict(int), collections.defaultdict(int)
+    for _, t, _, s, _ in docs:
+        by[s] += len(WORD.findall(t or ""))
+    want = targets_by_hand(dict(by))
+    for r in run("op5_mixing"):
+        assert r.target == pytest.approx(want[r.source]) and 0 <= r.taken <= 2 * r["size"]
+        taken[r.source] += r.taken
+    assert all(abs(n - want[s]) <= 1 for s, n in taken.items())
+    got = run("op8_language_id")
+    lang = {i: x for i, _, x, *_ in docs}
+    held = [r for r in got if r.held_out and lang[r.doc_id]]
+    assert len(got) == len(docs) and np.mean([r.lang_pred == lang[r.doc_id] for r in held]) > 0.9
+    got = {r.doc_id for r in run("op9_decontamination") if r.contaminated}
+    plain = lambda t: " ".join(re.findall(r"[^\W_]+", (t or "").lower()))
+    items = [plain(x[1]) for x in rows_of(spark, "benchmark")]
+    assert got >= {i for i, t, *_ in docs if any(x and f" {x} " in f" {plain(t)} " for x in items)}
+
+
 def test_pipeline_stage_by_stage(spark, awkward, tmp_path):
     import corpus_pipeline as P
 
