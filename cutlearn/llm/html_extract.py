@@ -12,7 +12,9 @@ learned, so predictions are alike whatever the input. Training takes some second
 
 Defined cases: null or empty html gives an empty text; text without tags is one block and judged like any other;
 unclosed, crossed and unknown tags are taken as browsers roughly do; nothing is cut off however long a page is; a
-null page_id or url stays null; repeated rows get equal results; other columns are ignored.
+null page_id or url stays null; repeated rows get equal results; other columns are ignored. Only scripts, styles,
+comments and what drawings and formulas never show (their titles, descriptions, sources) are no text; the content of
+every other element is read and judged. A tag that never ends is text. Parsing takes time in proportion to the page.
 """
 
 from __future__ import annotations
@@ -34,62 +36,175 @@ from cutlearn.llm import textblocks as tb
 PATH_DIM, LEAF_DIM, WORD_DIM, COUNTS = 256, 256, 24, 6
 WIDTH, HIDDEN = PATH_DIM + LEAF_DIM + WORD_DIM + COUNTS, 20
 BATCH_PAGES, BATCH_BLOCKS = 128, 20_000
+#: Characters of html that are parsed together (a longer page by itself), and blocks whose rows are made at once.
+BATCH_CHARS, PIECE = 4 << 20, 4096
 TRAIN_PAGES, EPOCHS, SEED = 1000, 6, 11
 
 #: Elements of HTML that begin a block of their own, those without content, and those whose content is no text.
 BLOCK = set("address article aside blockquote body button center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html legend li main menu nav ol option p pre section select summary table tbody td tfoot th thead title tr ul".split())
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
-RAW = set("script style noscript template iframe svg math object textarea".split())
+RAW = {x: re.compile(rf"</{x}(?=[\s/>])", re.I) for x in ("script", "style")}
 ENDS_P = BLOCK - {"button", "option", "legend", "summary"}
 SAME_CLOSES = {"p", "li", "dt", "dd", "option", "tr", "td", "th"}
-
-TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^\"'>]|\"[^\"]*\"|'[^']*')*+)>", re.S)
+#: Drawings and formulas, what they hold but never show, where HTML begins again in them, and what ends them unclosed.
+FOREIGN = {"svg", "math"}
+UNSHOWN = {x: re.compile(rf"</{x}(?=[\s/>])", re.I) for x in "title desc metadata script style annotation annotation-xml".split()}
+HTML_AGAIN = {"foreignobject"}
+BREAKS_OUT = (BLOCK - {"title", "option", "select", "button"}) | set("b big br code em embed i img meta nobr ruby s small span strike strong sub sup tt u var".split())
+
+BEGIN = re.compile(r"</?[a-zA-Z]|<[!?/]")
+TAG = re.compile(r"</?([a-zA-Z][^\s/>]*+)((?:[^>=]++|=\s*+\"[^\"]*+\"|=\s*+'[^']*+'|=)*+)>")
+LOOSE_TAG = re.compile(r"</?([a-zA-Z][^\s/>]*+)([^>]*+)>")
+END_OF_COMMENT = re.compile(r"--!?>")
 NAMED = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 LINK_TEXT = "a"
 MARK, STOP = (np.isin(np.arange(256), list(x)) for x in (b".,;", b".!?"))
 
 
+class Place:
+    """An open element with all those around it. Equal elements in one place are one, so its vector is made once."""
+
+    __slots__ = ("label", "parent", "inner", "vector")
+
+    def __init__(self, label: str = "", parent: Place | None = None):
+        self.label, self.parent, self.inner = label, parent, {}
+        self.vector = np.zeros(PATH_DIM, np.int8) if parent is None else None
+
+    def within(self, label: str) -> Place:
+        if label not in self.inner:
+            self.inner[label] = Place(label, self)
+        return self.inner[label]
+
+    def path_vector(self) -> np.ndarray:
+        todo, p = [], self
+        while p.vector is None:
+            todo.append(p)
+            p = p.parent
+        for p in reversed(todo):
+            p.vector = p.parent.vector.copy()
+            for i, sign in _label_slots(p.label):
+                p.vector[i] = min(1, max(-1, p.vector[i] + sign))
+        return self.vector
+
+
 class Block(NamedTuple):
-    path: tuple[str, ...]
+    place: Place
     text: str
     linked: int  # characters of the text inside links
 
+    @property
+    def path(self) -> tuple[str, ...]:
+        """Labels of the open elements, the outermost first."""
+        out, p = [], self.place
+        while p.parent is not None:
+            out.append(p.label)
+            p = p.parent
+        return tuple(reversed(out))
 
-def blocks(page: str) -> list[Block]:
-    """The leaf blocks of a page in order, with references decoded and white space folded."""
+
+def blocks(page: str, root: Place | None = None) -> list[Block]:
+    """The leaf blocks of a page in order, with references decoded and white space folded. Each character is looked at
+    a bounded number of times: open elements are found by name, and no search that failed is tried again."""
     out: list[Block] = []
-    stack: list[tuple[str, str]] = []
+    names: list[str] = []
+    places = [root or Place()]
+    at_name: dict[str, list[int]] = {}  # where elements of a name stand among the open ones
+    fences: list[int] = []  # where open block elements stand
+    modes: list[tuple[int, bool]] = []  # where drawings and formulas begin (True), and HTML again inside them
+    unclosed: set[str] = set()  # names that no closing tag follows any more
     parts: list[tuple[str, bool]] = []
-    links = 0
+    links, loose = 0, False
+
+    def say(text: str) -> None:
+        parts.append((entities.unescape(text) if "&" in text else text, links > 0))
 
     def flush() -> None:
-        nonlocal parts
         if parts:
-            text = " ".join(entities.unescape("".join(p for p, _ in parts)).split())
+            text = " ".join("".join(p for p, _ in parts).split())
             if text:
-                out.append(Block(tuple(label for _, label in stack if label), text, min(len(text), sum(len(p) for p, on in parts if on))))
-            parts = []
+                out.append(Block(places[-1], text, min(len(text), sum(len(p) for p, on in parts if on))))
+            parts.clear()
 
     def close_to(k: int) -> None:
         nonlocal links
-        links -= sum(name == LINK_TEXT for name, _ in stack[k:])
-        del stack[k:]
+        while len(names) > k:
+            name = names.pop()
+            places.pop()
+            at_name[name].pop()
+            links -= name == LINK_TEXT
+        while fences and fences[-1] >= k:
+            fences.pop()
+        while modes and modes[-1][0] >= k:
+            modes.pop()
+
+    def open_(name: str, attributes: str, fence: bool) -> None:
+        nonlocal links
+        labels = " ".join([name, *(v.lower() for t in NAMED.findall(attributes) for v in t if v)]) if attributes else name
+        if fence:
+            fences.append(len(names))
+        at_name.setdefault(name, []).append(len(names))
+        names.append(name)
+        places.append(places[-1].within(labels))
+        links += name == LINK_TEXT
 
-    at, n = 0, len(page)
+    def close(name: str) -> None:
+        at = at_name.get(name)
+        if at and (name in BLOCK or not fences or fences[-1] < at[-1]):
+            close_to(at[-1])
+
+    def skip(name: str, closing: re.Pattern, begin: int) -> int:
+        """Where the closing tag of a name begins, or -1."""
+        if name in unclosed:
+            return -1
+        end = closing.search(page, begin)
+        if end is None:
+            unclosed.add(name)
+        return end.start() if end else -1
+
+    at, n, last_end = 0, len(page), page.rfind(">")
     while at < n:
-        m = TAG.search(page, at)
-        if m is None:
-            parts.append((page[at:], links > 0))
+        begin = page.find("<", at)
+        if begin < 0 or begin > last_end and not page.startswith("<!--", begin):  # no tag ends any more
+            say(page[at:])
             break
-        if m.start() > at:
-            parts.append((page[at : m.start()], links > 0))
-        at = m.end()
-        if not m[2]:
+        if begin > at:
+            say(page[at:begin])
+        kind = BEGIN.match(page, begin)
+        if not kind:
+            say("<")
+            at = begin + 1
             continue
-        name, closing = m[2].lower(), bool(m[1])
+        if not kind[0][-1].isalpha():
+            if page.startswith("<!--", begin):
+                end = END_OF_COMMENT.search(page, begin + 2 if page.startswith(("<!-->", "<!--->"), begin) else begin + 4)
+                at = end.end() if end else n
+            else:
+                at = page.find(">", begin) + 1
+            continue
+        m = None if loose else TAG.match(page, begin)
+        if m is None:  # a quote that never ends: from here on a tag ends with its first bracket
+            loose = True
+            m = LOOSE_TAG.match(page, begin)
+        at = m.end()
+        name, attributes, closing = m[1].lower(), m[2], page[begin + 1] == "/"
+        if modes and modes[-1][1]:
+            if not closing and name in BREAKS_OUT or closing and name == "p":
+                while modes and modes[-1][1]:
+                    close_to(modes[-1][0])
+            else:
+                if closing:
+                    close(name)
+                elif not attributes.endswith("/"):
+                    if name in UNSHOWN and (end := skip(name, UNSHOWN[name], at)) >= 0:
+                        at = end
+                        continue
+                    if name in FOREIGN or name in HTML_AGAIN:
+                        modes.append((len(names), name in FOREIGN))
+                    open_(name, attributes, False)
+                continue
         if name in RAW and not closing:
-            end = re.compile(rf"</{name}\s*>", re.I).search(page, at)
-            at = end.end() if end else n
+            end = skip(name, RAW[name], at)
+            at = n if end < 0 else end
             parts.append((" ", False))
             continue
         if name == "br":
@@ -98,51 +213,53 @@ def blocks(page: str) -> list[Block]:
         if name in BLOCK:
             flush()
         if closing:
-            k = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == name), None)
-            if k is not None and (name in BLOCK or all(s[0] not in BLOCK for s in stack[k:])):
-                close_to(k)
-            continue
-        if name in VOID:
-            continue
-        if name in ENDS_P:
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == "p" or name in SAME_CLOSES and stack[i][0] == name:
-                    close_to(i)
-                    break
-                if stack[i][0] in BLOCK:
-                    break
-        labels = " ".join([name, *(v.lower() for t in NAMED.findall(m[3]) for v in t if v)]) if m[3] else name
-        stack.append((name, labels))
-        links += name == LINK_TEXT
+            close(name)
+        elif name not in VOID:
+            if name in FOREIGN:
+                if attributes.endswith("/"):
+                    continue
+                modes.append((len(names), True))
+            if name in ENDS_P:
+                if fences and names[fences[-1]] == "p":
+                    close_to(fences[-1])
+                if fences and name in SAME_CLOSES and names[fences[-1]] == name:
+                    close_to(fences[-1])
+            open_(name, attributes, name in BLOCK)
     flush()
     return out
 
 
-def _slot(word: str, size: int, salt: str) -> tuple[int, float]:
+def _slot(word: str, size: int, salt: str) -> tuple[int, int]:
     h = zlib.crc32(f"{salt}{word}".encode("utf-8", "surrogatepass"))
-    return (h >> 1) % size, 1.0 if h & 1 else -1.0
+    return (h >> 1) % size, 1 if h & 1 else -1
 
 
 @lru_cache(maxsize=20_000)
-def _path_vector(path: tuple[str, ...]) -> np.ndarray:
-    v = np.zeros(PATH_DIM + LEAF_DIM)
-    for depth, label in enumerate(reversed(path)):
+def _label_slots(label: str) -> list[tuple[int, int]]:
+    return [_slot(word, PATH_DIM, "path ") for word in re.findall(r"[a-z0-9]+", label)]
+
+
+@lru_cache(maxsize=20_000)
+def _leaf_vector(labels: tuple[str, ...]) -> np.ndarray:
+    """Of the innermost labels, the innermost first."""
+    v = np.zeros(LEAF_DIM, np.int8)
+    for depth, label in enumerate(labels):
         for word in re.findall(r"[a-z0-9]+", label):
-            i, sign = _slot(word, PATH_DIM, "path ")
-            v[i] = np.clip(v[i] + sign, -1, 1)
-            if depth < 2:
-                i, sign = _slot(word, LEAF_DIM, f"leaf{depth} ")
-                v[PATH_DIM + i] = np.clip(v[PATH_DIM + i] + sign, -1, 1)
+            i, sign = _slot(word, LEAF_DIM, f"leaf{depth} ")
+            v[i] = min(1, max(-1, v[i] + sign))
     return v
 
 
-def vectors_of(pages: list[list[Block]]) -> list[np.ndarray]:
-    """A row of WIDTH for each block of each page. Words are hashed for all blocks at once."""
-    every = [b for page in pages for b in page]
-    edge = np.concatenate([[0], np.cumsum([len(page) for page in pages])]).astype(np.int64)
+def _leaves(place: Place) -> tuple[str, ...]:
+    return tuple(p.label for p in (place, place.parent) if p is not None and p.parent is not None)
+
+
+def rows_of(every: list[Block], place: np.ndarray) -> np.ndarray:
+    """A row of WIDTH for each block. place: how far down its page each one stands. Words are hashed for all at once."""
     n = len(every)
+    v = np.zeros((n, WIDTH))
     if not n:
-        return [np.zeros((0, WIDTH)) for _ in pages]
+        return v
     raw = [b.text.encode("utf-8", "surrogatepass") for b in every]
     offsets = np.concatenate([[0], np.cumsum([len(r) for r in raw])]).astype(np.int64)
     data = np.frombuffer(b"".join(raw), np.uint8)
@@ -151,16 +268,26 @@ def vectors_of(pages: list[list[Block]]) -> list[np.ndarray]:
     words = np.diff(first)
     at = np.repeat(np.arange(n), words) * WORD_DIM + (h % np.uint64(WORD_DIM)).astype(np.int64)
     sign = np.where(h >> np.uint64(63), 1.0, -1.0)
-    v = np.zeros((n, WIDTH))
-    v[:, : PATH_DIM + LEAF_DIM] = [_path_vector(b.path) for b in every]
-    bag = np.bincount(at, sign, n * WORD_DIM).reshape(n, WORD_DIM) / np.sqrt(words)[:, None]
+    v[:, :PATH_DIM] = [b.place.path_vector() for b in every]
+    v[:, PATH_DIM : PATH_DIM + LEAF_DIM] = [_leaf_vector(_leaves(b.place)) for b in every]
+    # \x1c to \x1f and \x85 part words for str.split() alone, so a block may have none by the rule for documents
+    bag = np.bincount(at, sign, n * WORD_DIM).reshape(n, WORD_DIM) / np.sqrt(np.maximum(words, 1))[:, None]
     v[:, PATH_DIM + LEAF_DIM : WIDTH - COUNTS] = np.clip(bag * 0.3, -1, 1)  # one word over and over must not outweigh all else
     size = np.array([len(b.text) for b in every])
     marks = tb.sums_by(MARK[data].astype(np.int64), offsets)
-    place = np.arange(n) - np.repeat(edge[:-1], np.diff(edge))
-    counts = (np.log1p(words) / 4, np.array([b.linked for b in every]) / size, STOP[data[offsets[1:] - 1]], np.log1p(size) / 8, place / np.repeat(np.diff(edge), np.diff(edge)), marks / words)
+    counts = (np.log1p(words) / 4, np.array([b.linked for b in every]) / size, STOP[data[offsets[1:] - 1]], np.log1p(size) / 8, place, marks / np.maximum(words, 1))
     v[:, WIDTH - COUNTS :] = np.stack(counts, axis=1)
-    return [v[a:z] for a, z in zip(edge[:-1], edge[1:], strict=True)]
+    return v
+
+
+def _down_the_page(pages: list[list[Block]]) -> np.ndarray:
+    return np.concatenate([np.arange(len(p)) / max(len(p), 1) for p in pages]) if pages else np.zeros(0)
+
+
+def vectors_of(pages: list[list[Block]]) -> list[np.ndarray]:
+    """A row of WIDTH for each block of each page."""
+    v = rows_of([b for page in pages for b in page], _down_the_page(pages))
+    return np.split(v, np.cumsum([len(p) for p in pages])[:-1]) if pages else []
 
 
 def vectors(page: list[Block]) -> np.ndarray:
@@ -183,9 +310,10 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
 
 
 def _scan(w: dict, side: str, x: np.ndarray, real: np.ndarray, keep: list | None = None) -> np.ndarray:
-    """Hidden states (time, page, HIDDEN) of one direction; padding leaves the state as it is."""
+    """Hidden states (time, page, HIDDEN) of one direction; padding leaves the state as it is. x: rows of WIDTH, or rows
+    already projected for this direction."""
     steps, n, _ = x.shape
-    pre = x @ w[f"x{side}"] + w[f"c{side}"]
+    pre = x @ w[f"x{side}"] + w[f"c{side}"] if x.shape[2] == WIDTH else x
     h, c, out = np.zeros((n, HIDDEN)), np.zeros((n, HIDDEN)), np.zeros((steps, n, HIDDEN))
     for t in range(steps) if side == "f" else range(steps - 1, -1, -1):
         z = pre[t] + h @ w[f"h{side}"]
@@ -217,14 +345,24 @@ def _back(w: dict, side: str, x: np.ndarray, kept: list, dout: np.ndarray, grad:
 
 def _padded(pages: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     steps = max(map(len, pages))
-    x, real = np.zeros((steps, len(pages), WIDTH)), np.zeros((steps, len(pages)), bool)
+    x, real = np.zeros((steps, len(pages), pages[0].shape[1]), pages[0].dtype), np.zeros((steps, len(pages)), bool)
     for k, v in enumerate(pages):
         x[: len(v), k], real[: len(v), k] = v, True
     return x, real
 
 
+def projected(w: dict, pages: list[list[Block]]) -> list[np.ndarray]:
+    """What both directions see of each block, PIECE blocks at a time, so wide rows never stand for a whole long page."""
+    every, place = [b for page in pages for b in page], _down_the_page(pages)
+    out = np.zeros((len(every), 8 * HIDDEN), np.float32)
+    both, shift = np.hstack([w["xf"], w["xb"]]), np.concatenate([w["cf"], w["cb"]])
+    for k in range(0, len(every), PIECE):
+        out[k : k + PIECE] = rows_of(every[k : k + PIECE], place[k : k + PIECE]) @ both + shift
+    return np.split(out, np.cumsum([len(p) for p in pages])[:-1]) if pages else []
+
+
 def chances(w: dict, pages: list[np.ndarray]) -> list[np.ndarray]:
-    """For each page the chance of each block to be main text."""
+    """For each page (rows of its blocks, plain or projected) the chance of each block to be main text."""
     out: list[np.ndarray] = [np.zeros(0)] * len(pages)
     order = sorted((k for k in range(len(pages)) if len(pages[k])), key=lambda k: len(pages[k]))
     at = 0
@@ -234,7 +372,8 @@ def chances(w: dict, pages: list[np.ndarray]) -> list[np.ndarray]:
             z += 1
         part = order[at:z]
         x, real = _padded([pages[k] for k in part])
-        states = np.concatenate([_scan(w, "f", x, real), _scan(w, "b", x, real)], axis=2)
+        ahead, back = (x, x) if x.shape[2] == WIDTH else (x[:, :, : 4 * HIDDEN], x[:, :, 4 * HIDDEN :])
+        states = np.concatenate([_scan(w, "f", ahead, real), _scan(w, "b", back, real)], axis=2)
         p = _sigmoid(states @ w["out"] + w["bias"])
         for col, k in enumerate(part):
             out[k] = p[: len(pages[k]), col]
@@ -385,16 +524,29 @@ EXTRACTED = "page_id long, url string, text string, n_chars long"
 
 
 def main_text(w: dict, pages: list[str]) -> list[str]:
-    found = [blocks(p) for p in pages]
-    return ["\n".join(b.text for b, p in zip(page, chance, strict=True) if p >= 0.5) for page, chance in zip(found, chances(w, vectors_of(found)), strict=True)]
+    root = Place()
+    found = [blocks(p, root) for p in pages]
+    return ["\n".join(b.text for b, p in zip(page, chance, strict=True) if p >= 0.5) for page, chance in zip(found, chances(w, projected(w, found)), strict=True)]
+
+
+def _parts(pages: list[str]) -> Iterator[tuple[int, int]]:
+    """Runs of pages that are parsed together."""
+    a, chars = 0, 0
+    for k, p in enumerate(pages):
+        if k > a and (k - a == BATCH_PAGES or chars + len(p) > BATCH_CHARS):
+            yield a, k
+            a, chars = k, 0
+        chars += len(p)
+    if len(pages) > a:
+        yield a, len(pages)
 
 
 def _extractor(shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, BATCH_PAGES):
-                part = batch.slice(at, BATCH_PAGES)
-                text = main_text(shared.value, [p or "" for p in part.column(2).to_pylist()])
+            pages = [p or "" for p in batch.column(2).to_pylist()]
+            for a, z in _parts(pages):
+                part, text = batch.slice(a, z - a), main_text(shared.value, pages[a:z])
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(text, pa.string()), pa.array([len(t) for t in text], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
     return run
