@@ -8,11 +8,19 @@ contaminated where the best local alignment reaches THRESHOLD of a perfect copy'
 alone are aligned unless too few of the item's words stand in the window to reach THRESHOLD in any order, so how often
 a leak occurs, whole, edited or shortened, changes no verdict; only the score of clean documents leaves those out.
 
-The benchmark is taken in blocks of ITEMS_PER_BLOCK items, so what is broadcast is bounded whatever its size; all
-documents meet every block, and nothing but seed counts reaches the driver.
+Seeds that more than ITEMS_PER_SEED places of the benchmark share belong to templates. Items that are equal but for the
+words outside templates answer alike to a document that holds the template only, so of such a class one item (the smallest
+item_id) is looked up by template seeds, and each item by its other seeds: what a document expands to doesn't grow with the
+number of items that share a phrase.
 
-Defined cases: null, empty and word-less texts are clean; items with fewer than MIN_ITEM_WORDS words are no
-evidence and are skipped; ties between items go to the smallest item_id; repeated rows get equal results; a null
+An item of fewer than MIN_ITEM_WORDS words has no seeds to speak of and would stand in clean prose by chance; it is matched
+exactly instead: a document is contaminated if one of its lines has the item's words and no others.
+
+The benchmark is taken in blocks of at most ITEMS_PER_BLOCK items and some BLOCK_BYTES bytes (a longer item by itself), so
+what is broadcast is bounded whatever its size; all documents meet every block, and nothing but seed counts reaches the
+driver.
+
+Defined cases: null, empty and word-less texts are clean; items without words are skipped; ties between items go to the smallest item_id; repeated rows get equal results; a null
 item_id is skipped; an empty benchmark leaves every document clean.
 """
 
@@ -33,7 +41,9 @@ from cutlearn.llm import textblocks as tb
 SEED_WORDS = 3
 MIN_ITEM_WORDS = 5
 THRESHOLD = 0.5
-ITEMS_PER_BLOCK = 20_000
+ITEMS_PER_BLOCK, BLOCK_BYTES = 20_000, 64 << 20
+#: Places of the benchmark that may share a seed before it counts as a template's.
+ITEMS_PER_SEED = 64
 #: A seed is rare if it occurs in no more than so many times the documents of the item's rarest quarter.
 COMMON_TIMES = 10
 ALIGN_BATCH = 256
@@ -51,7 +61,8 @@ for _a, _z in (("0", "9"), ("A", "Z"), ("a", "z")):
 
 class Items(NamedTuple):
     """Items of a block. words: hashes of all words, item k's at first[k]:first[k + 1]; seeds: sorted distinct seed
-    hashes; at, item, pos: for seed i the places at[i]:at[i + 1] give the item and the word where it begins."""
+    hashes; at, item, pos: for seed i the places at[i]:at[i + 1] give the item and the word where it begins; short,
+    short_ids: sorted hashes of the items that are matched exactly, and their smallest ids."""
 
     ids: np.ndarray
     words: np.ndarray
@@ -60,14 +71,47 @@ class Items(NamedTuple):
     at: np.ndarray
     item: np.ndarray
     pos: np.ndarray
+    short: np.ndarray
+    short_ids: np.ndarray
 
 
 def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     s, e = tb.runs_of(IN_WORD[data], offsets)
-    return tb.RangeHash(data).of(s, e), np.searchsorted(s, offsets)
-
-
-def index_items(ids: list[int], texts: list[str]) -> Items:
+    return tb.hashes_of(data, s, e), np.searchsorted(s, offsets)
+
+
+def short_lines(data: np.ndarray, offsets: np.ndarray, words: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(text, hash of its words) of each line of one to MIN_ITEM_WORDS - 1 words."""
+    if not len(words):
+        return np.zeros(0, np.int64), np.zeros(0, np.uint64)
+    s, _ = tb.runs_of(IN_WORD[data], offsets)
+    line = np.searchsorted(np.flatnonzero(data == 10), s)
+    doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
+    begin = np.flatnonzero(np.concatenate([[True], (line[1:] != line[:-1]) | (doc[1:] != doc[:-1])]))
+    size = np.diff(np.append(begin, len(words)))
+    parts = [(doc[begin[size == n]], tb.sequence_hash(words, begin[size == n], n)) for n in range(1, MIN_ITEM_WORDS)]
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
+
+def _without_templates(ids: np.ndarray, words: np.ndarray, first: np.ndarray, at: np.ndarray, item: np.ndarray, pos: np.ndarray, most: int) -> np.ndarray:
+    """Which places stay: those of seeds with at most `most` places, and of others one item of each class."""
+    times = np.diff(at)
+    common = np.repeat(times > most, times)
+    if not common.any():
+        return np.ones(len(item), bool)
+    covered = np.zeros(len(words), bool)
+    for k in range(SEED_WORDS):
+        covered[first[item[common]] + pos[common] + k] = True
+    who = np.repeat(np.arange(len(ids)), np.diff(first))
+    turn = (np.arange(len(words)) - first[who]).astype(np.uint64)
+    key = tb.sums_by(tb.mix(np.where(covered, words, np.uint64(0)) + turn * tb.MIX_A), first) + tb.mix(np.diff(first).astype(np.uint64))
+    order = np.lexsort((ids, key))
+    head = np.zeros(len(ids), bool)
+    head[order[np.concatenate([[True], key[order][1:] != key[order][:-1]])]] = True
+    return ~common | head[item]
+
+
+def index_items(ids: list[int], texts: list[str], most: int = ITEMS_PER_SEED) -> Items:
     data, offsets = tb.column_bytes(pc.utf8_lower(pa.array(texts, pa.string())))
     words, first = word_hashes(data, offsets)
     ok, item = tb.within(first, SEED_WORDS, len(words))
@@ -76,7 +120,15 @@ def index_items(ids: list[int], texts: list[str]) -> Items:
     seed, item = tb.ngrams(words, SEED_WORDS)[pos], item[pos]
     order = np.argsort(seed, kind="stable")
     seeds, at = np.unique(seed[order], return_index=True)
-    return Items(np.array(ids, np.int64), words, first, seeds, np.append(at, len(order)), item[order], (pos - first[item])[order])
+    names, at, item, pos = np.array(ids, np.int64), np.append(at, len(order)), item[order], (pos - first[item])[order]
+    stay = _without_templates(names, words, first, at, item, pos, most)
+    at = np.concatenate([[0], np.cumsum(stay)])[at]
+    n = np.diff(first)
+    brief = np.flatnonzero((n > 0) & (n < MIN_ITEM_WORDS))
+    h = np.array([tb.sequence_hash(words, first[k : k + 1], n[k])[0] for k in brief], np.uint64)
+    order = np.lexsort((names[brief], h))
+    short, one = np.unique(h[order], return_index=True)
+    return Items(names, words, first, seeds, at, item[stay], pos[stay], short, names[brief][order][one])
 
 
 def _hits(index: Items, filter_bits: np.ndarray, words: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -204,6 +256,12 @@ def _matcher(shared, text: int, names: list[str]):
             for lo, hi, data, offsets in tb.slices(pc.utf8_lower(batch.column(text))):
                 words, first = word_hashes(data, offsets)
                 score, owner = np.zeros(hi - lo), np.full(hi - lo, -1, np.int64)
+                if len(index.short):
+                    d, h = short_lines(data, offsets, words, first)
+                    k = np.minimum(np.searchsorted(index.short, h), len(index.short) - 1)
+                    for row, which_id in zip(d[index.short[k] == h].tolist(), index.short_ids[k[index.short[k] == h]].tolist(), strict=True):
+                        owner[row] = which_id if not score[row] else min(owner[row], which_id)
+                        score[row] = 1
                 for d, it, a, z in _candidates(index, rare, words, first, _hits(index, bits, words, first)):
                     got, full = align([index.words[index.first[x] : index.first[x + 1]] for x in it], [words[x:y] for x, y in zip(a, z, strict=True)])
                     for row, value, which_id in sorted(zip(d.tolist(), (got / (MATCH * full)).tolist(), index.ids[it].tolist(), strict=True), key=lambda x: (x[0], -x[1], x[2])):
@@ -217,10 +275,12 @@ def _matcher(shared, text: int, names: list[str]):
 
 
 def item_blocks(benchmark: DataFrame, size: int = ITEMS_PER_BLOCK) -> Iterator[tuple[list[int], list[str]]]:
-    rows = benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("long").alias("item_id"), "text")
-    n = max(1, -(-rows.count() // size))
+    """Blocks by a hash of id and text, so rows that share an id spread as well; repeated rows are one."""
+    rows = benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("long").alias("item_id"), "text").distinct()
+    count, length = rows.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    n = max(1, -(-count // size), -(-length // BLOCK_BYTES))
     for k in range(n):
-        part = rows.where(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k).orderBy("item_id", "text").collect() if n > 1 else rows.orderBy("item_id", "text").collect()
+        part = rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k).orderBy("item_id", "text").collect() if n > 1 else rows.orderBy("item_id", "text").collect()
         if part:
             yield [r.item_id for r in part], [r.text for r in part]
 

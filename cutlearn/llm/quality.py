@@ -63,7 +63,7 @@ def _counter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         good = np.asarray(batch.column(1))
         for lo, _, data, offsets in tb.slices(batch.column(0)):
             s, e, first = tb.words_of(data, offsets)
-            bucket, doc = _grams(data, offsets, tb.RangeHash(data).of(s, e), first)
+            bucket, doc = _grams(data, offsets, tb.hashes_of(data, s, e), first)
             raw += np.bincount(bucket, minlength=BUCKETS)
             target += np.bincount(bucket[good[lo + doc]], minlength=BUCKETS)
     seen = np.flatnonzero(raw)
@@ -107,8 +107,7 @@ def _later(keys: np.ndarray) -> np.ndarray:
 def measure(data: np.ndarray, offsets: np.ndarray, weights: np.ndarray | None = None) -> list[np.ndarray]:
     """The columns of SCORES after doc_id for each text of a slice."""
     s, e, first = tb.words_of(data, offsets)
-    ranges = tb.RangeHash(data)
-    h, n = ranges.of(s, e), len(offsets) - 1
+    h, n = tb.hashes_of(data, s, e), len(offsets) - 1
     whole = tb.NOT_SPACE[data]
     chars = tb.sums_by((whole & ((data & 0xC0) != 0x80)).astype(np.int64), offsets)
     symbols = tb.sums_by(SYMBOL[data].astype(np.int64), offsets)
@@ -117,7 +116,7 @@ def measure(data: np.ndarray, offsets: np.ndarray, weights: np.ndarray | None =
     ls, le = (x[filled[le] > filled[ls]] for x in (ls, le))
     line_first = np.searchsorted(ls, offsets)
     line_doc = np.repeat(np.arange(n), np.diff(line_first))
-    dup = _later(tb.mix(ranges.of(ls, le) + line_doc.astype(np.uint64) * tb.MIX_A))
+    dup = _later(tb.mix(tb.hashes_of(data, ls, le) + line_doc.astype(np.uint64) * tb.MIX_A))
     ok, doc3 = tb.within(first, 3, len(h))
     at = np.flatnonzero(ok)
     at = at[_repeats(tb.mix(tb.ngrams(h, 3)[at] + doc3[at].astype(np.uint64) * tb.MIX_A))]
