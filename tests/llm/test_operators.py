@@ -447,6 +447,75 @@ def test_html_held_out_pages_and_given_ones(spark):
         assert r.text == "\n".join(b.text for b in html_extract.blocks(r.html) if any(p.split()[0] == "article" for p in b.path)) and r.n_chars == len(r.text)
 
 
+def strange_page(rng, labelled):
+    """A page made by other rules than the training pages: real words, names that they never use, tables and links as
+    furniture, nested wrappers. labelled: whether the article's element says what it is; otherwise it is a bare div."""
+    pool = "time year people way day man thing woman life child world school state family student group country problem hand part place case week company system program question work government number night point home water room mother area money story fact month lot right study book eye job word business issue side kind head house service friend father power hour game line end member law car city".split()
+    text = lambda n: " ".join(pool[k] for k in rng.integers(0, len(pool), n)).capitalize() + "."
+    name = lambda: f'class="{rng.choice(["td", "mw", "xq", "css"])}-{rng.integers(1000)}"'
+    out, labels = [f"<html><head><title>{text(4)}</title></head><body {name()}><div {name()}>"], [0]
+
+    def put(html, n, label):
+        out.append(html)
+        labels.extend([label] * n)
+
+    links = lambda n: "".join(f'<td><a href="/{k}">{text(2)[:-1]}</a></td>' for k in range(n))
+    k = int(rng.integers(3, 8))
+    put(f'<div class="top-menu"><table><tr>{links(k)}</tr></table></div>', k, 0)
+    if rng.random() < 0.5:
+        put(f'<div class="gdpr-notice">{text(20)}</div>', 1, 0)
+    main = ["<article>", '<div class="post-content">', '<main class="page">', '<section class="article-text">'][rng.integers(4)] if labelled else "<div>"
+    out.append(f"<div {name()}>{main}")
+    put(f"<h1>{text(6)[:-1]}</h1>", 1, 1)
+    for _ in range(int(rng.integers(3, 15))):
+        put(f"<p>{text(int(rng.integers(10, 90)))}</p>", 1, 1)
+        if rng.random() < 0.1:
+            put(f'<div class="advert">{text(8)}</div>', 1, 0)
+        if rng.random() < 0.1:
+            put(f"<h3>{text(3)[:-1]}</h3>", 1, 1)
+    out.append("</" + main[1:].split()[0].strip(">") + "></div>")
+    if rng.random() < 0.6:
+        k = int(rng.integers(2, 6))
+        put('<div class="sidebar-box"><ul>' + "".join(f'<li><a href="#">{text(4)[:-1]}</a></li>' for _ in range(k)) + "</ul></div>", k, 0)
+    if rng.random() < 0.5:
+        k = int(rng.integers(1, 5))
+        put('<div class="comments-area">' + "".join(f'<div class="comment-item"><b>{text(1)[:-1]}</b><p>{text(15)}</p></div>' for _ in range(k)) + "</div>", 2 * k, 0)
+    put(f'<div class="site-footer">&copy; {text(5)}</div></div></body></html>', 1, 0)
+    return "".join(out), labels
+
+
+@pytest.mark.parametrize("labelled, least", [(True, 0.95), (False, 0.8)])
+def test_html_pages_made_by_other_rules(labelled, least):
+    rng, w, hit, n = np.random.default_rng(7), html_extract.train(), 0, 0
+    for _ in range(200):
+        page, labels = strange_page(rng, labelled)
+        got = html_extract.chances(w, [html_extract.vectors(html_extract.blocks(page))])[0] >= 0.5
+        hit, n = hit + (got == np.array(labels, bool)).sum(), n + len(labels)
+    print("pages by other rules", labelled, hit / n)
+    assert hit / n > least
+
+
+def test_html_loses_no_text():
+    text = lambda page: [b.text for b in html_extract.blocks(page)]
+    for gap in ('<svg class="i"/>', "<iframe src=x>", "<textarea>", "<object>", "<noscript>", "<template>", "<math/>", "<svg>"):
+        assert text(f"<article><p>aaa one</p>{gap}<p>bbb two</p></article>") == ["aaa one", "bbb two"]
+    assert text("<p>sum <math><mi>x</mi><mo>=</mo><annotation>x</annotation></math> <svg><title>t</title><text>lab</text></svg> <object>other</object> end") == ["sum x= lab other end"]
+    assert text('<p class=x">aaa</p><p a="b>c">ddd</p><p q="unclosed>eee</p>') == ["aaa", "ddd", "eee"]
+    assert text("a < b &amp; c <d") == ["a < b & c <d"] and text("<!-->x<!-- y -->z<!-- open") == ["xz"]
+    assert text("<svg><p>one</svg><p>two") == ["one", "two"] and text("<script>no</script>yes<style>no") == ["yes"]
+
+
+def test_html_parsing_takes_time_in_proportion():
+    import time
+
+    for page in ('<a "' * 250_000, "<span>x" * 150_000, "<div>x" * 100_000, "<svg>" + "<desc>x" * 150_000, "<" * 1_000_000, '<a b="' * 170_000 + ">", '<a b=">" ' * 120_000, "<span>" * 80_000 + "<hr>x" * 100_000, "<!--" * 250_000, "<li>" * 250_000):
+        began = time.process_time()
+        html_extract.blocks(page)
+        assert time.process_time() - began < 10, page[:20]
+    page = "<article>" + "<p>word one two</p>" * 60_000 + "</article>"
+    assert len(html_extract.projected(html_extract.train(), [html_extract.blocks(page)])[0]) == 60_000
+
+
 def test_html_awkward_rows(spark):
     rows = spark.createDataFrame([(1, None, None), (None, "u", ""), (2, "u", PAGE), (2, "u", PAGE)], "page_id long, url string, html string")
     got = html_extract.extract(clashing(rows)).collect()
@@ -607,8 +676,8 @@ def test_decontamination(spark, awkward):
     for per_block in (decontam.ITEMS_PER_BLOCK, 2):
         got = {r.doc_id: r for r in decontam.decontaminate(frame(spark, rows), bench, per_block).collect()}
         bad = {i: got[i].item_id for i in got if got[i].contaminated}
-        assert bad == {1: 0, 2: 0, 4: 1, 5: 2, 16: 4} | {50 + k: 1 for k in range(60)}
-        assert got[4].score == 1
+        assert bad == {1: 0, 2: 0, 4: 1, 5: 2, 6: 3, 16: 4} | {50 + k: 1 for k in range(60)}  # 6 is a short item as a line; in 8 it stands in a sentence
+        assert got[4].score == got[6].score == 1
     odd = clashing(frame(spark, awkward))
     out = decontam.decontaminate(odd, bench)
     assert out.count() == len(awkward) and out.where("contaminated").count() == 0
@@ -617,6 +686,73 @@ def test_decontamination(spark, awkward):
     assert decontam.decontaminate(odd, none).where("contaminated").count() == 0 and decontam.decontaminate(frame(spark, []), bench).count() == 0
 
 
+def edited_copy(rng, words, pool, rate):
+    """A copy with about `rate` of its words changed, dropped or followed by another."""
+    out = []
+    for w in words:
+        if rng.random() >= rate:
+            out.append(w)
+        else:
+            out += rng.choice([[rng.choice(pool)], [], [w, rng.choice(pool)]])
+    return out
+
+
+@pytest.mark.parametrize("rate", [0, 0.05, 0.1, 0.2, 0.3])
+def test_decisions_against_aligning_everything(spark, rate):
+    """Every document is aligned with every item as a whole: nothing else is flagged, and of what that finds, nine tenths
+    and more at every rate of edits."""
+    rng = random.Random(11)
+    pool = [f"{a}{b}{c}" for a in "bcdfgh" for b in ("an", "el", "ir", "os") for c in "klmnrst"]
+    items = [[rng.choice(pool) for _ in range(rng.randrange(8, 40))] for _ in range(60)]
+    filler = lambda n: [rng.choice(pool) for _ in range(n)]
+    docs = [filler(rng.randrange(60)) + edited_copy(rng, rng.choice(items), pool, rate) + filler(rng.randrange(60)) for _ in range(150)] + [filler(120) for _ in range(50)]
+    number = {w: np.uint64(k + 2) for k, w in enumerate(pool)}
+    coded = lambda ws: np.array([number[w] for w in ws], np.uint64)
+    best = np.array([decontam.align([coded(i) for i in items], [coded(d)] * len(items))[0] / (2 * np.array(list(map(len, items)))) if d else np.zeros(len(items)) for d in docs])
+    want = best.max(axis=1) >= decontam.THRESHOLD
+    bench = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(items)], "item_id long, text string")
+    got = {r.doc_id: r for r in decontam.decontaminate(frame(spark, [(k, " ".join(d), "en", "s", 0) for k, d in enumerate(docs)]), bench).collect()}
+    flagged = np.array([got[k].contaminated for k in range(len(docs))])
+    assert not (flagged & ~want).any() and (flagged & want).sum() >= 0.9 * want.sum() and want.sum() >= 100
+    for k in np.flatnonzero(flagged):
+        assert got[k].score <= best[k, got[k].item_id] + 1e-12
+    print(rate, int(want.sum()), int(flagged.sum()))
+
+
+def test_templates_do_not_multiply_candidates(spark):
+    rng = random.Random(5)
+    own = [f"{a}{b}{k}" for a in "bcdf" for b in ("an", "el") for k in range(40)]
+    template = "please choose the one right answer to the question that follows here".split()
+    texts = [" ".join(template + [rng.choice(own) for _ in range(10 + k % 3)]) for k in range(600)] + ["the very same item stands here six hundred times over"] * 2
+    index = decontam.index_items(list(range(602)), texts)
+    assert np.diff(index.at).max() <= decontam.ITEMS_PER_SEED
+    filler = " ".join(rng.choice(own) for _ in range(30))
+    edited = texts[77].split()
+    edited[3] = edited[15] = "other"
+    rows = [(1, f"{filler} {texts[500]} {filler}", "en", "s", 0), (2, " ".join(edited), "en", "s", 0), (3, filler, "en", "s", 0), (4, " ".join(template), "en", "s", 0), (5, texts[600], "en", "s", 0), (6, " ".join(template[:6]) + " " + filler, "en", "s", 0)]
+    got = {r.doc_id: r for r in decontam.decontaminate(frame(spark, rows), spark.createDataFrame(list(enumerate(texts)), "item_id long, text string")).collect()}
+    assert (got[1].item_id, got[1].score, got[2].item_id) == (500, 1, 77) and got[2].contaminated
+    assert got[4].contaminated and got[4].item_id == 0  # the template alone is over half of the shortest items
+    assert got[5].item_id == 600 and not got[3].contaminated and not got[6].contaminated
+
+
+def test_short_items_are_matched_by_line(spark):
+    bench = spark.createDataFrame([(4, "Who is it?"), (2, "who is IT"), (7, "yes"), (8, "?!")], "item_id long, text string")
+    rows = [(1, "Q:\nWho is it\nme", "en", "s", 0), (2, "I know who is it that came", "en", "s", 0), (3, "yes", "en", "s", 0), (5, "yes yes", "en", "s", 0), (6, None, "en", "s", 0)]
+    got = {r.doc_id: (r.contaminated, r.item_id) for r in decontam.decontaminate(frame(spark, rows), bench).collect()}
+    assert got == {1: (True, 2), 2: (False, None), 3: (True, 7), 5: (False, None), 6: (False, None)}
+
+
+def test_words_of_long_texts_are_hashed_in_pieces():
+    from cutlearn.llm import textblocks as tb
+
+    rng = np.random.default_rng(0)
+    data = rng.choice(np.frombuffer(b"ab \n", np.uint8), 5000)
+    data[1000:1900] = ord("a")
+    s, e, _ = tb.words_of(data, np.array([0, 5000]))
+    assert (tb.hashes_of(data, s, e, 300) == tb.RangeHash(data).of(s, e)).all()
+
+
 def test_leaks_in_the_given_documents(spark):
     docs, bench = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "benchmark"))
     plain = lambda t: " ".join(t.lower().split())
