@@ -8,7 +8,8 @@ that is the same for all sets. So every such pair meets under one of these prefi
 shingles that a task sees often last, so that prefixes hold rare ones; it only saves work and never changes a result.
 
 What stands before the first shingle that two sets share is in one of them only, which bounds their similarity. Pairs within
-this bound and still in different components are held against each other's bit sketches (a shingle whose bit the other set
+this bound, with fingerprints no more than FAR_BITS apart (a pair of similarity 0.8 lies beyond about once in a million, one of
+a few shingles once in ten thousand; every other step is exact) and still in different components are held against each other's bit sketches (a shingle whose bit the other set
 lacks is not shared: again a bound, never a guess), and what passes is confirmed on the whole sets. Nodes of confirmed pairs
 form components (single links). Where many nodes meet under one shingle, rounds first confirm each node with one drawn
 leader; at last all pairs that still lie in different components are confirmed.
@@ -38,7 +39,10 @@ OVER, UNDER = 4, 5
 SLOTS, OFTEN, KEPT_SLOTS = 1 << 22, 8, 1 << 16
 #: Pairs for each row of the meeting table from which leaders are drawn first.
 MANY_PAIRS = 4
-ROUNDS = 12
+ROUNDS = 2
+#: Most differing bits of the five-word fingerprints of a pair that is looked at. Sets of similarity 0.8 differ in 10 of 64
+#: bits on average (12 for sets of a few shingles), unlike ones in 32.
+FAR_BITS = 25
 #: Rows under one shingle up to which all their pairs are looked at when rows without partner are left out.
 SMALL = 64
 #: Bits of a sketch for each shingle of a set, at least (a power of two in all).
@@ -50,17 +54,13 @@ MARKED = "doc_id long, node long, fp long, n int, bits binary"
 def shingles_of(data: np.ndarray, offsets: np.ndarray, n: int = SHINGLE_WORDS) -> tuple[np.ndarray, np.ndarray]:
     """(shingle hashes, sorted and distinct in each text; where each text's begin)."""
     s, e, first = tb.words_of(data, offsets)
-    h = tb.RangeHash(tb.LOWER[data]).of(s, e)
+    h = tb.hashes_of(tb.LOWER[data], s, e)
     ok, doc = tb.within(first, n, len(h))
     values, owner = [tb.ngrams(h, n)[ok]], [doc[ok]]
     words = np.diff(first)
     for k in range(1, n):
         short = np.flatnonzero(words == k)
-        begin = first[short]
-        v = h[begin]
-        for j in range(1, k):
-            v = tb.mix(v * tb.GOLDEN + h[begin + j])
-        values.append(tb.mix(v + np.uint64(k)))
+        values.append(tb.sequence_hash(h, first[short], k))
         owner.append(short)
     v, who = np.concatenate(values), np.concatenate(owner)
     order = np.lexsort((v, who))
@@ -267,7 +267,8 @@ def covered_pairs(nodes: DataFrame, radius: int = simhash.RADIUS) -> DataFrame:
 def _pairs(rows: DataFrame, left: str, right: str) -> DataFrame:
     """a, b: distinct pairs of nodes from two columns that fit and lie in different components."""
     fits = F.least("rest", f"{right}_rest") * (OVER + UNDER) >= (F.col("n") + F.col(f"{right}_n")) * OVER
-    return rows.where((F.col("root") != F.col(f"{right}_root")) & fits).select(F.least(left, right).alias("a"), F.greatest(left, right).alias("b")).distinct()
+    near = F.bit_count(F.col("fp").bitwiseXOR(F.col(f"{right}_fp"))) <= FAR_BITS
+    return rows.where((F.col("root") != F.col(f"{right}_root")) & fits & near).select(F.least(left, right).alias("a"), F.greatest(left, right).alias("b")).distinct()
 
 
 def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
@@ -280,9 +281,10 @@ def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
     before, gained, roots = found.count(), True, star_components(found)
     met = docs.select("text").mapInArrow(_meeter(shared), "key long, node long, n int, rest int")
     met = met.repartition(shuffle_parts(spark), "key").sortWithinPartitions("key", "n", "node")
-    met = cut(met.mapInArrow(_partners, "key long, node long, n long, rest long"))
+    met = met.mapInArrow(_partners, "key long, node long, n long, rest long")
+    met = cut(met.join(nodes.select("node", "fp"), "node"))
     for turn in range(ROUNDS + 1):
-        placed = met.join(roots, "node", "left").select("key", "node", "n", "rest", F.coalesce("root", "node").alias("root"))
+        placed = met.join(roots, "node", "left").select("key", "node", "n", "rest", "fp", F.coalesce("root", "node").alias("root"))
         open_keys = cut(placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key"))
         placed = cut(placed.join(open_keys, "key"))
         apart = placed.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.sum("c").alias("c"), F.sum(F.col("c") * F.col("c")).alias("cc"))
@@ -291,11 +293,11 @@ def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
             break
         last = pairs <= many_pairs * rows or turn == ROUNDS or not gained
         if last:
-            other = placed.select("key", *(F.col(c).alias(f"other_{c}") for c in ("n", "rest", "root")), F.col("node").alias("other"))
+            other = placed.select("key", *(F.col(c).alias(f"other_{c}") for c in ("n", "rest", "fp", "root")), F.col("node").alias("other"))
             wanted = _pairs(placed.join(other, "key").where("node < other"), "node", "other")
         else:
-            leader = placed.groupBy("key").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("draw"), "node", "n", "rest", "root")).alias("l"))
-            leader = leader.select("key", F.col("l.node").alias("other"), F.col("l.n").alias("other_n"), F.col("l.rest").alias("other_rest"), F.col("l.root").alias("other_root"))
+            leader = placed.groupBy("key").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("draw"), "node", "n", "rest", "fp", "root")).alias("l"))
+            leader = leader.select("key", F.col("l.node").alias("other"), *(F.col(f"l.{c}").alias(f"other_{c}") for c in ("n", "rest", "fp", "root")))
             wanted = _pairs(placed.join(leader, "key"), "node", "other")
         found = cut(found.unionByName(confirmed(wanted, nodes, docs)))
         total = found.count()

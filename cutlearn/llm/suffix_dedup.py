@@ -369,7 +369,7 @@ def removed_ranges(docs: DataFrame, shard_segments: int = SHARD_SEGMENTS) -> Dat
     )
     copies = again.join(segs.where("n > 1").select("ah", "sh"), ["ah", "sh"]).select("doc_id", "th", F.col("pos").alias("s"), (F.col("pos") + F.col("nwin") + SPAN - 1).alias("e"))
     # anchors with a single segment left to judge beside others
-    open_ = segs.where("differ").groupBy("ah").agg(F.count("*").alias("d"), F.min("n").alias("least")).where("d > 1 and least = 1")
+    open_ = cut(segs.where("differ").groupBy("ah").agg(F.count("*").alias("d"), F.min("n").alias("least")).where("d > 1 and least = 1"))
     shards = F.ceil(F.col("d") / shard_segments).cast("int")
     todo = segs.join(open_, "ah").select("ah", "n", "rep.*", F.pmod(F.xxhash64("sh"), shards).cast("int").alias("salt"), (shards > 1).alias("split"))
     wanted = todo.groupBy("doc_id", "th").agg(F.collect_list(F.struct("ah", "salt", "split", "n", "pos", "nwin")).alias("wanted"))

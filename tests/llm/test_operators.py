@@ -247,10 +247,11 @@ def test_links_lose_no_component(spark, hot):
 
 
 def test_components_of_a_long_chain_and_loops(spark):
-    rows = [(k, k + 1) for k in range(60)] + [(5, 5), (100, 101), (101, 100), (7, 6)]
-    got = {r.node: r.root for r in components.star_components(spark.createDataFrame(rows, "a long, b long")).collect()}
-    assert got == {**{k: 0 for k in range(1, 61)}, 101: 100}
-    assert components.star_components(spark.createDataFrame([], "a long, b long")).count() == 0
+    rows = [(k, k + 1) for k in range(60)] + [(5, 5), (100, 101), (101, 100), (7, 6), (-3, 200), (-3, -9)]
+    for few in (components.FEW, 0):  # union-find in one task, and rounds
+        got = {r.node: r.root for r in components.star_components(spark.createDataFrame(rows, "a long, b long"), few=few).collect()}
+        assert got == {**{k: 0 for k in range(1, 61)}, 101: 100, 200: -9, -3: -9}
+        assert components.star_components(spark.createDataFrame([], "a long, b long"), few=few).count() == 0
 
 
 def test_one_document_of_each_group_stays(spark, awkward):
