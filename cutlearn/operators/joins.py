@@ -1,9 +1,11 @@
 """Distance joins on a layout, and their variants.
 
 The left row lives in the region that owns it; the right row is copied to each region that its box of half side d
-touches. So every pair within d meets in exactly one region, the left row's. Both sides are dealt by region id, and
-the join is an equi-join on the region (and on square buckets of side d when the local index is on) with the distance
-as residual: no nested loops. `salt` divides the left rows of every bucket and copies the right ones, for hot cells.
+touches. So every pair within d meets in exactly one region, the left row's. The join is an equi-join on the region (and
+on square buckets of side d when the local index is on) with the distance as residual: no nested loops. Each
+region is a task of its own, as in the published set-up; `deal="bucket"` (with the index) deals by region and bucket instead, so
+tasks are as many as the session's shuffle partitions, at the price of shuffling the nine probes of each left row. `salt` divides the left rows of every bucket and copies the
+right ones before they are dealt, so a hot bucket spreads over tasks.
 """
 
 from __future__ import annotations
@@ -59,7 +61,7 @@ def replicas(b: DataFrame, spec: GridSpec, layout: Layout, d: int) -> DataFrame:
     return b.select("pid", "x", "y", F.explode(replica_parts(spec, layout, d)).alias("part"))
 
 
-def distance_join(a: DataFrame, b: DataFrame | None, d: int, layout: Layout, spec: GridSpec, local_index: bool = True, pairs: str = "unordered", metric: str = "l2", m: int | None = None, salt: int = 1, strategy: str = "shuffle_hash") -> DataFrame:
+def distance_join(a: DataFrame, b: DataFrame | None, d: int, layout: Layout, spec: GridSpec, local_index: bool = True, pairs: str = "unordered", metric: str = "l2", m: int | None = None, salt: int = 1, strategy: str = "shuffle_hash", deal: str = "region") -> DataFrame:
     """pid_a, pid_b, d2 of all pairs within d (inclusive). b None: a self-join with pairs "unordered", "ordered" or
     "with_self". strategy: "shuffle_hash", or "merge" where a region doesn't fit a worker's memory."""
     same, m = b is None, m or len(layout.rects)
@@ -68,7 +70,8 @@ def distance_join(a: DataFrame, b: DataFrame | None, d: int, layout: Layout, spe
     left = left.select(F.col("pid").alias("pid_a"), F.col("x").alias("ax"), F.col("y").alias("ay"), "part")
     right = right.select(F.col("pid").alias("pid_b"), F.col("x").alias("bx"), F.col("y").alias("by"), "part")
     keys = ["part"]
-    left, right = left.repartitionById(m, F.col("part")), right.repartitionById(m, F.col("part"))
+    if salt == 1 and (deal == "region" or not local_index):
+        left, right = left.repartitionById(m, F.col("part")), right.repartitionById(m, F.col("part"))
     if local_index:
         near = F.sequence(F.lit(-1), F.lit(1))
         right = right.withColumns({"kx": bucket(F.col("bx"), spec.x0, d), "ky": bucket(F.col("by"), spec.y0, d)})

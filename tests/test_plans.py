@@ -145,3 +145,22 @@ def test_modelled_cost_orders_like_exact_counts(spark):
 def test_learned_beats_the_rest_on_most_cases(spark):
     rows = measures.reductions(ex.runtime_table(spark, SF01, datasets=("geo_hot",)), "learned", "uniform").collect()
     assert len(rows) == 4 and sum(r.win for r in rows) >= 3 and all(r.vs_best_other >= -1e-6 for r in rows)
+
+
+def test_salted_and_indexed_joins_spread_over_tasks(spark):
+    """More tasks than regions hold pairs, and none has over twice its share of those of a hot region."""
+    from pyspark.sql import functions as F
+
+    from cutlearn import catalog
+
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "64")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        for name in ("djoin_salted", "djoin_bucket_dealt"):
+            pairs = catalog.QUERIES[name](spark, "/root/testdata/sf0.01").withColumn("task", F.spark_partition_id())
+            per = [r["count"] for r in pairs.groupBy("task").count().collect()]
+            assert len(per) > 4 * catalog.M and max(per) < sum(per) / catalog.M, (name, per)
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
