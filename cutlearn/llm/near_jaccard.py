@@ -8,11 +8,11 @@ that is the same for all sets. So every such pair meets under one of these prefi
 shingles that a task sees often last, so that prefixes hold rare ones; it only saves work and never changes a result.
 
 What stands before the first shingle that two sets share is in one of them only, which bounds their similarity. Pairs within
-this bound, with fingerprints no more than FAR_BITS apart (a pair of similarity 0.8 lies beyond about once in a million, one of
-a few shingles once in ten thousand; every other step is exact) and still in different components are held against each other's bit sketches (a shingle whose bit the other set
+this bound, with prints (SimHash over the sets) no more than FAR_BITS apart (a pair of similarity 0.8 lies beyond about once in a
+million, one of a few shingles once in ten thousand; every other step is exact) and still in different components are held against each other's bit sketches (a shingle whose bit the other set
 lacks is not shared: again a bound, never a guess), and what passes is confirmed on the whole sets. Nodes of confirmed pairs
 form components (single links). Where many nodes meet under one shingle, rounds first confirm each node with one drawn
-leader; at last all pairs that still lie in different components are confirmed.
+leader of those that agree with it in a few bits of the print; at last all pairs that still lie in different components are confirmed.
 
 Defined cases: words and case as in simhash; fewer than five words give one shingle of all of them; texts without words
 are equal to each other; rows with null doc_id count, but name no component (null if no row with an id is in it).
@@ -39,8 +39,8 @@ OVER, UNDER = 4, 5
 SLOTS, OFTEN, KEPT_SLOTS = 1 << 22, 8, 1 << 16
 #: Pairs for each row of the meeting table from which leaders are drawn first.
 MANY_PAIRS = 4
-ROUNDS = 2
-#: Most differing bits of the five-word fingerprints of a pair that is looked at. Sets of similarity 0.8 differ in 10 of 64
+ROUNDS = 3
+#: Most differing bits of the prints of a pair that is looked at. Sets of similarity 0.8 differ in 10 of 64
 #: bits on average (12 for sets of a few shingles), unlike ones in 32.
 FAR_BITS = 25
 #: Rows under one shingle up to which all their pairs are looked at when rows without partner are left out.
@@ -48,6 +48,12 @@ SMALL = 64
 #: Bits of a sketch for each shingle of a set, at least (a power of two in all).
 SKETCH_BITS = 2
 
+#: Bits of the prints by which a round parts the rows of a shingle, so that its leaders meet likely partners.
+ROUND_BITS = 4
+MET_NAMES = ["key", "node", "n", "rest", "print"]
+MET = "key long, node long, n long, rest long, print long"
+#: What stands beside a node where two meet.
+BESIDE = ("n", "rest", "print", "root")
 MARKED = "doc_id long, node long, fp long, n int, bits binary"
 
 
@@ -170,8 +176,9 @@ def _meeter(shared):
                         fresh[i] = True
                 keys, who, left = prefixes(v, first, *shared.value)
                 take = fresh[who]
-                cols = (keys[take].view(np.int64), node[who[take]], np.diff(first)[who[take]].astype(np.int32), left[take].astype(np.int32))
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["key", "node", "n", "rest"])
+                print_ = simhash.majority(tb.mix(v), first).view(np.int64)
+                cols = (keys[take].view(np.int64), node[who[take]], np.diff(first)[who[take]], left[take], print_[who[take]])
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], MET_NAMES)
 
     return run
 
@@ -181,32 +188,35 @@ def fit(n: np.ndarray, rest: np.ndarray, other_n: np.ndarray, other_rest: np.nda
     return (OVER + UNDER) * np.minimum(rest, other_rest) >= OVER * (n + other_n)
 
 
-def _partnered(key: np.ndarray, node: np.ndarray, n: np.ndarray, rest: np.ndarray) -> np.ndarray:
-    """Rows (sorted by key, n and node) that have a row of another node under their key that fits; in a bucket
-    of over SMALL rows, those whose nearest in size may fit."""
+def near(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return np.bitwise_count((a ^ b).view(np.uint64)) <= FAR_BITS
+
+
+def _partnered(key: np.ndarray, node: np.ndarray, n: np.ndarray, rest: np.ndarray, prints: np.ndarray) -> np.ndarray:
+    """Rows (sorted by key, n and node) that have a row of another node under their key that fits and is near; in a
+    bucket of over SMALL rows, those whose nearest in size may fit."""
     keep = np.zeros(len(key), bool)
     edge = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1], [True]]))
     size = np.diff(edge)
     twos = edge[:-1][size == 2]
-    good = twos[fit(n[twos], rest[twos], n[twos + 1], rest[twos + 1])]
+    good = twos[fit(n[twos], rest[twos], n[twos + 1], rest[twos + 1]) & near(prints[twos], prints[twos + 1])]
     keep[good] = keep[good + 1] = True
     for i in np.flatnonzero(size > 2):
         a, z = edge[i], edge[i + 1]
         if z - a <= SMALL:
-            ok = fit(n[a:z, None], rest[a:z, None], n[None, a:z], rest[None, a:z])
+            ok = fit(n[a:z, None], rest[a:z, None], n[None, a:z], rest[None, a:z]) & near(prints[a:z, None], prints[None, a:z])
             np.fill_diagonal(ok, False)
             keep[a:z] = ok.any(axis=1)
         else:
-            near = UNDER * n[a : z - 1] >= OVER * n[a + 1 : z]
-            keep[a : z - 1] |= near
-            keep[a + 1 : z] |= near
+            alike = UNDER * n[a : z - 1] >= OVER * n[a + 1 : z]
+            keep[a : z - 1] |= alike
+            keep[a + 1 : z] |= alike
     return keep
 
 
 def _partners(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows arrive sorted by key, n and node; a key that goes on in the next batch is carried over."""
-    names = ["key", "node", "n", "rest"]
-    held = (np.zeros(0, np.int64),) * 4
+    held = (np.zeros(0, np.int64),) * len(MET_NAMES)
 
     def out(rows: list[np.ndarray]) -> pa.RecordBatch:
         key, node = rows[:2]
@@ -214,7 +224,7 @@ def _partners(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         new[1:] = (key[1:] != key[:-1]) | (node[1:] != node[:-1])
         rows = [r[new] for r in rows]
         keep = _partnered(*rows)
-        return pa.RecordBatch.from_arrays([pa.array(r[keep]) for r in rows], names)
+        return pa.RecordBatch.from_arrays([pa.array(r[keep]) for r in rows], MET_NAMES)
 
     for batch in batches:
         rows = [np.concatenate([h, np.asarray(batch.column(i)).astype(np.int64)]) for i, h in enumerate(held)]
@@ -265,10 +275,16 @@ def covered_pairs(nodes: DataFrame, radius: int = simhash.RADIUS) -> DataFrame:
 
 
 def _pairs(rows: DataFrame, left: str, right: str) -> DataFrame:
-    """a, b: distinct pairs of nodes from two columns that fit and lie in different components."""
+    """a, b: distinct pairs of nodes from two columns that fit, are near and lie in different components."""
     fits = F.least("rest", f"{right}_rest") * (OVER + UNDER) >= (F.col("n") + F.col(f"{right}_n")) * OVER
-    near = F.bit_count(F.col("fp").bitwiseXOR(F.col(f"{right}_fp"))) <= FAR_BITS
-    return rows.where((F.col("root") != F.col(f"{right}_root")) & fits & near).select(F.least(left, right).alias("a"), F.greatest(left, right).alias("b")).distinct()
+    close = F.bit_count(F.col("print").bitwiseXOR(F.col(f"{right}_print"))) <= FAR_BITS
+    return rows.where((F.col("root") != F.col(f"{right}_root")) & fits & close).select(F.least(left, right).alias("a"), F.greatest(left, right).alias("b")).distinct()
+
+
+def _round_mask(turn: int) -> int:
+    """The bits of the prints, drawn anew for each round."""
+    mask = sum(1 << int(i) for i in np.random.default_rng(turn).choice(64, ROUND_BITS, replace=False))
+    return mask - (1 << 64) if mask >> 63 else mask
 
 
 def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
@@ -279,12 +295,11 @@ def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
     nodes = cut(marked.select("node", "fp", "n", "bits").dropDuplicates(["node"]))
     found = cut(confirmed(covered_pairs(nodes), nodes, docs))
     before, gained, roots = found.count(), True, star_components(found)
-    met = docs.select("text").mapInArrow(_meeter(shared), "key long, node long, n int, rest int")
+    met = docs.select("text").mapInArrow(_meeter(shared), MET)
     met = met.repartition(shuffle_parts(spark), "key").sortWithinPartitions("key", "n", "node")
-    met = met.mapInArrow(_partners, "key long, node long, n long, rest long")
-    met = cut(met.join(nodes.select("node", "fp"), "node"))
+    met = cut(met.mapInArrow(_partners, MET))
     for turn in range(ROUNDS + 1):
-        placed = met.join(roots, "node", "left").select("key", "node", "n", "rest", "fp", F.coalesce("root", "node").alias("root"))
+        placed = met.join(roots, "node", "left").select(*MET_NAMES, F.coalesce("root", "node").alias("root"))
         open_keys = cut(placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key"))
         placed = cut(placed.join(open_keys, "key"))
         apart = placed.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.sum("c").alias("c"), F.sum(F.col("c") * F.col("c")).alias("cc"))
@@ -293,12 +308,13 @@ def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
             break
         last = pairs <= many_pairs * rows or turn == ROUNDS or not gained
         if last:
-            other = placed.select("key", *(F.col(c).alias(f"other_{c}") for c in ("n", "rest", "fp", "root")), F.col("node").alias("other"))
+            other = placed.select("key", *(F.col(c).alias(f"other_{c}") for c in BESIDE), F.col("node").alias("other"))
             wanted = _pairs(placed.join(other, "key").where("node < other"), "node", "other")
         else:
-            leader = placed.groupBy("key").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("draw"), "node", "n", "rest", "fp", "root")).alias("l"))
-            leader = leader.select("key", F.col("l.node").alias("other"), *(F.col(f"l.{c}").alias(f"other_{c}") for c in ("n", "rest", "fp", "root")))
-            wanted = _pairs(placed.join(leader, "key"), "node", "other")
+            parted = placed.withColumn("part", F.col("print").bitwiseAND(F.lit(_round_mask(turn))))
+            leader = parted.groupBy("key", "part").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("draw"), "node", *BESIDE)).alias("l"))
+            leader = leader.select("key", "part", F.col("l.node").alias("other"), *(F.col(f"l.{c}").alias(f"other_{c}") for c in BESIDE))
+            wanted = _pairs(parted.join(leader, ["key", "part"]), "node", "other")
         found = cut(found.unionByName(confirmed(wanted, nodes, docs)))
         total = found.count()
         gained, before = total > before, total

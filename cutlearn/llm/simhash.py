@@ -69,9 +69,13 @@ def fingerprints_of(data: np.ndarray, offsets: np.ndarray, n: int = SHINGLE_WORD
     digest = xxhash.xxh64_intdigest
     h = np.fromiter((digest(text[a:b], SEED) for a, b in zip(begins.tolist(), ends.tolist(), strict=True)), np.uint64, len(owner))
     order = np.argsort(owner, kind="stable")
-    h, total = h[order], np.bincount(owner, minlength=docs)
-    edge = np.concatenate([[0], np.cumsum(total)])
-    out = np.zeros(docs, np.uint64)
+    return majority(h[order], np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=docs))]))
+
+
+def majority(h: np.ndarray, edge: np.ndarray) -> np.ndarray:
+    """For each run of hashes between two edges the 64 bits that are set in over half of them."""
+    total = np.diff(edge)
+    out = np.zeros(len(total), np.uint64)
     lanes = np.uint64(0x0101010101010101)
     for j in range(8):
         part = ((h >> np.uint64(j)) & lanes).view(np.uint8).reshape(-1, 8)
