@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import statistics
 from dataclasses import replace
 
 import numpy as np
@@ -22,6 +23,9 @@ FINE = 4  # fine cells per cell and axis of the modelled cost
 #: Training small enough for tests; TrainConfig() itself has the published sizes.
 SMALL = TrainConfig(g=12, hidden=(128, 64), episodes=400, pretrain_iters=1500, target_every=50, mass_scale="unit")
 
+#: Few episodes, each of which runs the workload's joins.
+MEASURED = replace(SMALL, episodes=4, repeats=1)
+
 
 _KEPT: dict[tuple, object] = {}  # driver-side results by application, folder and settings
 
@@ -115,4 +119,26 @@ def sweep_m(spark: SparkSession, sf_dir: str, dataset: str = "geo_hot", ms: tupl
     return spark.createDataFrame(rows, "m int, demo_cost double, learned_cost double")
 
 
-__all__ = ["THRESHOLDS", "ablation", "layout_table", "layouts", "runtime_table", "setting", "sweep_m", "trained"]
+def train_measured(spark: SparkSession, sf_dir: str, dataset: str = "geo_hot", skew: str = "small", local_index: bool = True, cfg: TrainConfig = MEASURED, m: int = 8) -> DataFrame:
+    """arm, episodes, stopped, demo_s, best_s, demo_again_s, best_again_s, wall_s, layout: learning against seconds of
+    real joins over all points, with the execution stop and without. The demonstration and the best layout are measured
+    again in turn at the end, because the smallest of several noisy times is not an estimate."""
+    w, rows = Workload.of(dataset, skew), []
+    spec, _, hist, demo = setting(spark, sf_dir, dataset, cfg.g, m)
+    p = points(spark, sf_dir, dataset).persist()
+    for arm, change in (("stop", {}), ("no_stop", {"exec_stop": False})):
+        arm_cfg = replace(cfg, **change)
+        cost = MeasuredCost(p, spec, Environment(m, local_index), cfg.repeats)
+        r = Learner(hist, m, arm_cfg).train(demo, w, cost)
+        again = {"demo": [], "best": []}
+        for _ in range(cfg.repeats):
+            for name, layout in (("demo", demo.layout), ("best", r.best)):
+                cost.forget(layout)
+                again[name].append(workload_time(cost.evaluate(layout, w).times, w.freqs))
+        seconds = (workload_time(r.demo_times, w.freqs), workload_time(r.best_times, w.freqs), *(statistics.median(again[k]) for k in ("demo", "best")), r.wall)
+        rows.append((arm, r.episodes, sum(e.stopped for e in r.history), *map(float, seconds), str([tuple(map(int, x)) for x in r.best.rects])))
+    p.unpersist()
+    return spark.createDataFrame(rows, "arm string, episodes int, stopped int, demo_s double, best_s double, demo_again_s double, best_again_s double, wall_s double, layout string")
+
+
+__all__ = ["THRESHOLDS", "ablation", "layout_table", "layouts", "runtime_table", "setting", "sweep_m", "train_measured", "trained"]

@@ -276,3 +276,12 @@ def test_training_options_never_end_worse(change):
     assert got.episodes == 30 and workload_time(got.best_times, w.freqs) <= workload_time(got.demo_times, w.freqs)
     with pytest.raises(ValueError):
         Learner(hist, 4, replace(cfg, shift_base="x")).train(demo, w, cost)
+
+
+def test_training_on_measured_seconds(spark):
+    from cutlearn import experiments as ex
+
+    got = ex.train_measured(spark, "/root/testdata/sf0.001", cfg=replace(ex.MEASURED, g=6, episodes=2), m=4).collect()
+    assert [r.arm for r in got] == ["stop", "no_stop"]
+    assert all(r.episodes == 2 and 0 < r.best_s and 0 < r.best_again_s and 0 < r.demo_again_s and r.layout.count("(") == 4 for r in got)
+    assert got[1].stopped == 0
