@@ -11,8 +11,9 @@ What stands before the first shingle that two sets share is in one of them only,
 this bound, with prints (SimHash over the sets) no more than FAR_BITS apart (a pair of similarity 0.8 lies beyond about once in a
 million, one of a few shingles once in ten thousand; every other step is exact) and still in different components are held against each other's bit sketches (a shingle whose bit the other set
 lacks is not shared: again a bound, never a guess), and what passes is confirmed on the whole sets. Nodes of confirmed pairs
-form components (single links). Where many nodes meet under one shingle, rounds first confirm each node with one drawn
-leader of those that agree with it in a few bits of the print; at last all pairs that still lie in different components are confirmed.
+form components (single links). All this happens where the rows of a shingle stand, and pairs leave it in two passes: first only a
+forest of them (no more than rows went in), which joins most copies, then every pair that passes the bounds and still lies in
+different components. A shingle of many rows is dealt in blocks, a cell for each two of them, so no task holds it whole.
 
 Defined cases: words and case as in simhash; fewer than five words give one shingle of all of them; texts without words
 are equal to each other; rows with null doc_id count, but name no component (null if no row with an id is in it).
@@ -37,23 +38,19 @@ SHINGLE_WORDS = 5
 OVER, UNDER = 4, 5
 #: Slots in which a task counts shingles, the count from which it reports a slot, and how many slots are kept.
 SLOTS, OFTEN, KEPT_SLOTS = 1 << 22, 8, 1 << 16
-#: Pairs for each row of the meeting table from which leaders are drawn first.
-MANY_PAIRS = 4
-ROUNDS = 3
+#: Rows under one shingle that are compared in one piece.
+BLOCK = 1024
 #: Most differing bits of the prints of a pair that is looked at. Sets of similarity 0.8 differ in 10 of 64
 #: bits on average (12 for sets of a few shingles), unlike ones in 32.
 FAR_BITS = 25
 #: Rows under one shingle up to which all their pairs are looked at when rows without partner are left out.
 SMALL = 64
-#: Bits of a sketch for each shingle of a set, at least (a power of two in all).
-SKETCH_BITS = 2
+#: Bits of a sketch for each shingle of a set, at least (a power of two in all), and its most bits: a larger set's
+#: sketch is fuller, which only leaves more pairs to the whole sets.
+SKETCH_BITS, MOST_BITS = 4, 1 << 13
 
-#: Bits of the prints by which a round parts the rows of a shingle, so that its leaders meet likely partners.
-ROUND_BITS = 4
 MET_NAMES = ["key", "node", "n", "rest", "print"]
 MET = "key long, node long, n long, rest long, print long"
-#: What stands beside a node where two meet.
-BESIDE = ("n", "rest", "print", "root")
 MARKED = "doc_id long, node long, fp long, n int, bits binary"
 
 
@@ -122,9 +119,9 @@ def prefixes(v: np.ndarray, first: np.ndarray, slots: np.ndarray, counts: np.nda
 
 
 def sketches(v: np.ndarray, first: np.ndarray) -> pa.Array:
-    """A bitmap of each set, with the bit of each shingle set; its size is a power of two, 64 at least."""
+    """A bitmap of each set, with the bit of each shingle set; its size is a power of two from 64 to MOST_BITS."""
     size = np.diff(first)
-    width = np.int64(1) << np.ceil(np.log2(np.maximum(SKETCH_BITS * size, 64))).astype(np.int64)
+    width = np.int64(1) << np.ceil(np.log2(np.clip(SKETCH_BITS * size, 64, MOST_BITS))).astype(np.int64)
     begin = np.concatenate([[0], np.cumsum(width)])
     who = np.repeat(np.arange(len(size)), size)
     bits = np.zeros(begin[-1], bool)
@@ -239,6 +236,121 @@ def _partners(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield out(list(held))
 
 
+class Cell:
+    """Rows that meet under one shingle, compared with one of them at a time."""
+
+    def __init__(self, cols: dict[str, np.ndarray], bits: list[bytes]):
+        self.n, self.rest, self.prints, self.block = (cols[c] for c in ("n", "rest", "print", "block"))
+        self.across = cols["lo"][0] != cols["hi"][0]
+        width = np.array([len(x) // 8 for x in bits])
+        self.width, self.at, self.rows = width, np.zeros(len(bits), np.int64), {}
+        for w in np.unique(width).tolist():
+            own = np.flatnonzero(width == w)
+            self.at[own] = np.arange(len(own))
+            self.rows[w] = np.frombuffer(b"".join(bits[k] for k in own), np.uint64).reshape(len(own), w)
+
+    def common(self, i: int, others: np.ndarray) -> np.ndarray:
+        """How many shingles row i can share with each of the others, at most."""
+        out = np.zeros(len(others), np.int64)
+        for w, rows in self.rows.items():
+            some = np.flatnonzero(self.width[others] == w)
+            if not len(some):
+                continue
+            x, y = self.rows[self.width[i]][self.at[i]], rows[self.at[others[some]]]
+            least = min(len(x), w)
+            x = np.bitwise_or.reduce(x.reshape(-1, least), axis=0)
+            y = np.bitwise_or.reduce(y.reshape(len(y), -1, least), axis=1)
+            ones = lambda z: np.bitwise_count(z).sum(axis=-1, dtype=np.int64)
+            both = ones(x & y)
+            out[some] = np.minimum(self.n[i] - ones(x) + both, self.n[others[some]] - ones(y) + both)
+        return out
+
+    def alike(self, i: int, others: np.ndarray) -> np.ndarray:
+        """Those of the others that may be similar enough to row i."""
+        if self.across:
+            others = others[self.block[others] != self.block[i]]
+        others = others[fit(self.n[i], self.rest[i], self.n[others], self.rest[others]) & near(self.prints[i], self.prints[others])]
+        if not len(others):
+            return others
+        return others[(OVER + UNDER) * self.common(i, others) >= OVER * (self.n[i] + self.n[others])]
+
+    def pairs(self, root: np.ndarray, forest: bool) -> Iterator[tuple[int, int]]:
+        """Pairs of different roots that may be similar enough: all of them, or of those only a forest."""
+        label = root.copy()
+        for i in range(len(label) - 1):
+            others = np.flatnonzero(label != label[i])
+            if not len(others):
+                if forest:
+                    return
+                continue
+            hits = self.alike(i, others if forest else others[others > i])
+            if forest and len(hits):
+                found, first = np.unique(label[hits], return_index=True)
+                hits = hits[first]
+                label[np.isin(label, found)] = label[i]
+            yield from ((i, int(j)) for j in hits)
+
+
+CELL = ["key", "lo", "hi", "block", "node", "n", "rest", "print", "root"]
+
+
+def _comparer(forest: bool):
+    def found(rows: pa.Table) -> pa.RecordBatch:
+        cols = {c: rows.column(c).to_numpy() for c in CELL}
+        edge = np.flatnonzero(np.concatenate([[True], _new_cell(cols), [True]]))
+        size, out = np.diff(edge), [np.zeros((0, 2), np.int64)]
+        open_ = size > 1
+        twos = edge[:-1][size == 2]
+        far = ~(fit(cols["n"][twos], cols["rest"][twos], cols["n"][twos + 1], cols["rest"][twos + 1]) & near(cols["print"][twos], cols["print"][twos + 1]))
+        open_[np.flatnonzero(size == 2)[far]] = False
+        bits = rows.column("bits").combine_chunks()
+        for k in np.flatnonzero(open_):
+            a, z = edge[k], edge[k + 1]
+            root = cols["root"][a:z]
+            if (root == root[0]).all():
+                continue
+            cell = Cell({c: cols[c][a:z] for c in CELL}, bits.slice(a, z - a).to_pylist())
+            hits = np.array(list(cell.pairs(root, forest)), np.int64).reshape(-1, 2)
+            out.append(np.sort(cols["node"][a:z][hits], axis=1))
+        pairs = np.unique(np.concatenate(out), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0].copy()), pa.array(pairs[:, 1].copy())], ["a", "b"])
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows arrive sorted by key, lo and hi; a cell that goes on in the next batch is carried over."""
+        held = None
+        for batch in batches:
+            rows = pa.Table.from_batches([batch])
+            rows = pa.concat_tables([held, rows]) if held is not None else rows
+            ends = np.flatnonzero(_new_cell({c: rows.column(c).to_numpy() for c in CELL[:3]})) + 1
+            k = int(ends[-1]) if len(ends) else 0
+            held = rows.slice(k)
+            if k:
+                yield found(rows.slice(0, k))
+        if held is not None and held.num_rows:
+            yield found(held)
+
+    return compare
+
+
+def _new_cell(cols: dict[str, np.ndarray]) -> np.ndarray:
+    """For each row but the first whether it stands in another cell than the one before."""
+    key, lo, hi = (cols[c] for c in CELL[:3])
+    return (key[1:] != key[:-1]) | (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])
+
+
+def met_pairs(met: DataFrame, roots: DataFrame, nodes: DataFrame, forest: bool, block: int) -> DataFrame:
+    """a, b: pairs of nodes that meet under a shingle, lie in different components and pass all bounds."""
+    placed = met.join(roots, "node", "left").select(*MET_NAMES, F.coalesce("root", "node").alias("root"))
+    keys = placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count("*").alias("c"))
+    keys = keys.where("low <> high").select("key", F.ceil(F.col("c") / block).cast("int").alias("blocks"))
+    rows = placed.join(keys, "key").join(nodes.select("node", "bits"), "node")
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("node", F.lit(block)), F.col("blocks")).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.withColumn("lo", F.least("block", "other")).withColumn("hi", F.greatest("block", "other")).select(*CELL, "bits")
+    rows = rows.repartition(shuffle_parts(met.sparkSession), "key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "node")
+    return rows.mapInArrow(_comparer(forest), "a long, b long").distinct()
+
+
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for _lo, _hi, data, offsets in tb.slices(batch.column(0)):
@@ -247,12 +359,16 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(nodes_of(v, first).view(np.int64)), lists], ["node", "v"])
 
 
-def confirmed(pairs: DataFrame, nodes: DataFrame, docs: DataFrame) -> DataFrame:
-    """The pairs (a, b) of nodes whose sets are similar enough, exactly. nodes: node, n, bits. Whole sets travel only for
-    pairs that their sketches leave open."""
+def sketched(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
+    """The pairs (a, b) that can be similar enough by the sketches of their nodes. nodes: node, n, bits."""
     one, two = (nodes.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col("bits").alias(f"bits_{c}")) for c in "ab")
     open_ = pairs.join(one, "a").join(two, "b").select("a", "b", "n_a", "n_b", "bits_a", "bits_b")
-    open_ = cut(open_.mapInArrow(_sketched, "a long, b long"))
+    return open_.mapInArrow(_sketched, "a long, b long")
+
+
+def confirmed(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """The pairs (a, b) of nodes whose sets are similar enough, exactly. Only the sets in these pairs travel."""
+    open_ = cut(pairs)
     if open_.isEmpty():
         return open_
     wanted = cut(open_.select(F.col("a").alias("node")).union(open_.select("b")).distinct())
@@ -274,53 +390,20 @@ def covered_pairs(nodes: DataFrame, radius: int = simhash.RADIUS) -> DataFrame:
     return every.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def _pairs(rows: DataFrame, left: str, right: str) -> DataFrame:
-    """a, b: distinct pairs of nodes from two columns that fit, are near and lie in different components."""
-    fits = F.least("rest", f"{right}_rest") * (OVER + UNDER) >= (F.col("n") + F.col(f"{right}_n")) * OVER
-    close = F.bit_count(F.col("print").bitwiseXOR(F.col(f"{right}_print"))) <= FAR_BITS
-    return rows.where((F.col("root") != F.col(f"{right}_root")) & fits & close).select(F.least(left, right).alias("a"), F.greatest(left, right).alias("b")).distinct()
-
-
-def _round_mask(turn: int) -> int:
-    """The bits of the prints, drawn anew for each round."""
-    mask = sum(1 << int(i) for i in np.random.default_rng(turn).choice(64, ROUND_BITS, replace=False))
-    return mask - (1 << 64) if mask >> 63 else mask
-
-
-def components(docs: DataFrame, many_pairs: int = MANY_PAIRS) -> DataFrame:
+def components(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     """doc_id, node, component_id (the smallest doc_id that links reach) for each row of docs."""
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(frequent_slots(docs))
     marked = cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_marker, MARKED))
     nodes = cut(marked.select("node", "fp", "n", "bits").dropDuplicates(["node"]))
-    found = cut(confirmed(covered_pairs(nodes), nodes, docs))
-    before, gained, roots = found.count(), True, star_components(found)
+    found = cut(confirmed(sketched(covered_pairs(nodes), nodes), docs))
     met = docs.select("text").mapInArrow(_meeter(shared), MET)
     met = met.repartition(shuffle_parts(spark), "key").sortWithinPartitions("key", "n", "node")
     met = cut(met.mapInArrow(_partners, MET))
-    for turn in range(ROUNDS + 1):
-        placed = met.join(roots, "node", "left").select(*MET_NAMES, F.coalesce("root", "node").alias("root"))
-        open_keys = cut(placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key"))
-        placed = cut(placed.join(open_keys, "key"))
-        apart = placed.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.sum("c").alias("c"), F.sum(F.col("c") * F.col("c")).alias("cc"))
-        rows, pairs = apart.agg(F.coalesce(F.sum("c"), F.lit(0)), F.coalesce(F.sum((F.col("c") * F.col("c") - F.col("cc")) / 2), F.lit(0))).first()
-        if not rows:
-            break
-        last = pairs <= many_pairs * rows or turn == ROUNDS or not gained
-        if last:
-            other = placed.select("key", *(F.col(c).alias(f"other_{c}") for c in BESIDE), F.col("node").alias("other"))
-            wanted = _pairs(placed.join(other, "key").where("node < other"), "node", "other")
-        else:
-            parted = placed.withColumn("part", F.col("print").bitwiseAND(F.lit(_round_mask(turn))))
-            leader = parted.groupBy("key", "part").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("draw"), "node", *BESIDE)).alias("l"))
-            leader = leader.select("key", "part", F.col("l.node").alias("other"), *(F.col(f"l.{c}").alias(f"other_{c}") for c in BESIDE))
-            wanted = _pairs(parted.join(leader, ["key", "part"]), "node", "other")
-        found = cut(found.unionByName(confirmed(wanted, nodes, docs)))
-        total = found.count()
-        gained, before = total > before, total
+    roots = star_components(found)
+    for forest in (True, False):
+        found = cut(found.unionByName(confirmed(met_pairs(met, roots, nodes, forest, block), docs)))
         roots = star_components(found)
-        if last:
-            break
     roots = roots.select(F.col("node").alias("at"), "root")
     kept = marked.select("doc_id", "node")
     least = kept.groupBy("node").agg(F.min("doc_id").alias("least"))

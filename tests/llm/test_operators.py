@@ -280,8 +280,8 @@ def similar_components(rows):
     return sorted((str(r[0]), str(least[k])) for r, k in zip(rows, label, strict=True))
 
 
-@pytest.mark.parametrize("many_pairs", [near_jaccard.MANY_PAIRS, 0])
-def test_near_copies_of_the_pipeline(spark, awkward, many_pairs):
+@pytest.mark.parametrize("block", [near_jaccard.BLOCK, 2])
+def test_near_copies_of_the_pipeline(spark, awkward, block):
     import corpus_pipeline as P
 
     rng = random.Random(5)
@@ -298,7 +298,7 @@ def test_near_copies_of_the_pipeline(spark, awkward, many_pairs):
     passage = prose(rng, 40)
     rows += [(at + k, passage + " " + prose(rng, 20), "en", "s", 1) for k in range(40)]  # one passage, no near copies
     docs = clashing(frame(spark, rows))
-    got = near_jaccard.components(docs, many_pairs).collect()
+    got = near_jaccard.components(docs, block).collect()
     want = similar_components(rows)
     assert sorted((str(r.doc_id), str(r.component_id)) for r in got) == want
     kept = P.near_copies(spark, docs, "")
