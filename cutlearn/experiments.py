@@ -55,7 +55,7 @@ def trained(spark: SparkSession, sf_dir: str, dataset: str, skew: str = "small",
 def layouts(spark: SparkSession, sf_dir: str, dataset: str, skew: str, local_index: bool, cfg: TrainConfig = SMALL, m: int = 8) -> dict[str, Layout]:
     spec, _, hist, demo = setting(spark, sf_dir, dataset, cfg.g, m)
     return {
-        "uniform": baselines.uniform(spec, m), "quad": baselines.quad(hist, m), "kdb": with_regions(baselines.hist_kdb(hist, m), hist, m),
+        "uniform": baselines.uniform(spec, m), "quad": baselines.quad(hist, m), "kdb_hist": with_regions(baselines.hist_kdb(hist, m), hist, m),
         "demo": demo.layout, "learned": trained(spark, sf_dir, dataset, skew, local_index, m, cfg).best,
     }
 
