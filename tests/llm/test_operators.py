@@ -306,6 +306,22 @@ def test_near_copies_of_the_pipeline(spark, awkward, block):
     assert sorted(str(r.doc_id) for r in kept.collect()) == sorted([*{i for i, c in want if i == c != "None"}, "None", "None"])
 
 
+def test_sketches_bound_what_sets_share():
+    rng = np.random.default_rng(3)
+    pool = rng.integers(0, 1 << 63, 9000).astype(np.uint64)
+    sets = [np.unique(rng.choice(pool[: 4 * n], n)) for n in (1, 5, 15, 17, 30, 33, 70, 300, 3000, 4000)]
+    first = np.concatenate([[0], np.cumsum([len(x) for x in sets])])
+    bits = near_jaccard.sketches(np.concatenate(sets), first).to_pylist()
+    assert max(map(len, bits)) == near_jaccard.MOST_BITS // 8 and min(map(len, bits)) == 8
+    zero = np.zeros(len(sets), np.int64)
+    cell = near_jaccard.Cell({"n": np.diff(first), "rest": np.diff(first), "print": zero, "block": zero, "lo": zero, "hi": zero}, bits)
+    others = np.arange(len(sets))
+    for i, x in enumerate(sets):
+        least = cell.common(i, others)
+        assert least[i] == len(x)
+        assert all(got >= len(np.intersect1d(x, y)) for got, y in zip(least, sets, strict=True))
+
+
 # op 4 ----------------------------------------------------------------------------------------------------------------
 
 
