@@ -164,3 +164,13 @@ def test_salted_and_indexed_joins_spread_over_tasks(spark):
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
         spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+
+
+def test_brute_force_takes_any_number_of_points(spark):
+    rows = [(k, (k * 7919) % 200_003 - 100_000, (k * 104_729) % 211 - 100) for k in range(10_500)]
+    x, y = np.array(rows).T[1:]
+    want = [(i, j) for i in range(len(rows)) for j in i + 1 + np.flatnonzero((x[i + 1 :] - x[i]) ** 2 + (y[i + 1 :] - y[i]) ** 2 <= 400)]
+    assert sorted((r.pid_a, r.pid_b) for r in joins.brute_force(make(spark, rows), 20).collect()) == want and len(want) > 100
+    few = make(spark, CASES["lines"])
+    for metric, pairs, n in (("l1", "ordered", 80), ("linf", "with_self", 169), ("l2", "unordered", 40)):
+        assert joins.brute_force(few, 25, pairs, metric).count() == n
