@@ -174,3 +174,52 @@ def test_brute_force_takes_any_number_of_points(spark):
     few = make(spark, CASES["lines"])
     for metric, pairs, n in (("l1", "ordered", 80), ("linf", "with_self", 169), ("l2", "unordered", 40)):
         assert joins.brute_force(few, 25, pairs, metric).count() == n
+
+
+@pytest.mark.parametrize("case", sorted(CASES))
+@pytest.mark.parametrize("d", [1, 50, 500])
+def test_sweeps_equal_brute_force(spark, case, d):
+    rows = CASES[case]
+    p = make(spark, rows)
+    spec = fit_grid(p, 4)
+    layout = baselines.hist_kdb(dense(cell_histogram(p, spec), 4), 3)
+    want = brute(rows, d)
+    assert sorted(map(tuple, joins.sweep_join(p, d, layout, spec).collect())) == want
+    bands = {r.band: r.n for r in joins.pair_bands(p, d, max(1, d // 5), layout, spec).collect()}
+    assert bands == {k: n for k in range(7) if (n := sum(int(q**0.5) // max(1, d // 5) == k for *_, q in want))}
+    for pairs, metric in (("ordered", "l2"), ("with_self", "l1"), ("unordered", "linf")):
+        a, b = (joins.distance_join(p, None, d, layout, spec, index, pairs, metric) for index in (True, False))
+        assert sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect()))
+    a, b = (joins.distance_join(p, p.where("pid % 2 = 0"), d, layout, spec, index) for index in (True, False))
+    assert sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect()))
+
+
+def test_a_sweep_tests_few_pairs_at_once(monkeypatch):
+    """Small batches and blocks find the same pairs, and no block is larger than twice the bound."""
+    import pyarrow as pa
+
+    rng, most = np.random.default_rng(3), []
+    x, y = np.sort(rng.integers(0, 300, 400)), rng.integers(0, 40, 400)
+    flags = pa.array(np.ones(400, bool))
+    whole = pa.RecordBatch.from_arrays([pa.array(np.arange(400) // 200), pa.array(x), pa.array(y), pa.array(np.arange(400)), flags, flags, flags], ["k0", "x", "y", "pid", "l", "r", "home"])
+    want = sorted((i, j) for i in range(400) for j in range(i + 1, 400) if i // 200 == j // 200 and (x[i] - x[j]) ** 2 + (y[i] - y[j]) ** 2 <= 400)
+    real = np.nonzero
+    monkeypatch.setattr(joins, "BLOCK", 64)
+    monkeypatch.setattr(np, "nonzero", lambda v: most.append(v.size) or real(v))
+    got = [(int(a), int(b)) for p, q, _ in joins._runs([whole.slice(k, 7) for k in range(0, 400, 7)], 1, 20, "l2", "unordered") for a, b in zip(p, q)]
+    assert sorted(got) == want and max(most) <= 128
+
+
+def test_a_swept_region_spreads_over_tasks(spark):
+    from pyspark.sql import functions as F
+
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "32")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        spec, _, _, d = ex.setting(spark, SF01, "geo_hot")
+        per = joins.sweep_join(points(spark, SF01, "geo_hot"), 5000, d.layout, spec).groupBy(F.spark_partition_id()).count().count()
+        assert per > 2 * len(d.layout.rects)
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
