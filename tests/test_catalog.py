@@ -63,3 +63,16 @@ def test_placing_by_the_newest_layout(spark, tmp_path):
     q.awaitTermination()
     got = spark.read.option("basePath", str(tmp_path)).parquet(str(tmp_path))
     assert got.select("version").distinct().collect()[0][0] == 3 and got.count() == spark.read.parquet(f"{SF}/events.parquet").count()
+
+
+def test_queries_read_their_tables_each_time(spark, tmp_path):
+    """Nothing of a table is kept for the next query, and no query makes its rows up."""
+    for t in ("customer", "orders", "events"):
+        spark.read.parquet(f"{SF}/{t}.parquet").write.parquet(str(tmp_path / f"{t}.parquet"))
+    run = lambda name: sorted(map(tuple, catalog.QUERIES[name](spark, str(tmp_path)).collect()))
+    names = ("demo_actions", "ds_layout", "layout_overlap", "layout_rects_udtf", "random_layouts", "env_example", "env_initial_actions", "reward_table", "workload_time", "reductions_published", "best_so_far")
+    first = {n: run(n) for n in names}
+    assert sum(r[-1] for r in first["env_example"]) == spark.read.parquet(str(tmp_path / "orders.parquet")).count()
+    spark.read.parquet(f"{SF}/orders.parquet").where("o_custkey % 3 = 0").write.mode("overwrite").parquet(str(tmp_path / "orders.parquet"))
+    spark.read.parquet(f"{SF}/events.parquet").where("user_id % 2 = 0").write.mode("overwrite").parquet(str(tmp_path / "events.parquet"))
+    assert not [n for n in names if run(n) == first[n]]
