@@ -223,3 +223,31 @@ def test_a_swept_region_spreads_over_tasks(spark):
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
         spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+
+
+@pytest.mark.parametrize("case", sorted(CASES))
+def test_pairs_of_two_layouts_come_once_and_are_not_shuffled(spark, case):
+    rows = CASES[case]
+    p = make(spark, rows)
+    spec = fit_grid(p, 4)
+    both = [baselines.hist_kdb(dense(cell_histogram(p, spec), 4), 3), baselines.uniform(spec, 4)]
+    for d in (1, 50, 500):
+        got = joins.union_of_layouts(p, d, both, spec)
+        assert sorted(map(tuple, got.collect())) == brute(rows, d)
+    from cutlearn import catalog
+
+    plan = catalog.QUERIES["union_layout_pairs"](spark, SF01)._jdf.queryExecution().executedPlan().toString()
+    assert "keys=[pid_a" not in plan and plan.count("Exchange hashpartitioning(kx") == 2
+
+
+def test_a_fit_asks_for_short_code(spark, monkeypatch):
+    """Each point's node and bin are one short expression, and the points are derived once for all levels."""
+    frame, plans = type(spark.range(1)), []
+    collect = frame.collect
+    monkeypatch.setattr(frame, "collect", lambda df: plans.append(df._jdf.queryExecution().optimizedPlan().toString()) or collect(df))
+    ex.forget_settings()
+    ex.setting(spark, SF01, "geo_hot")
+    steps = [t for t in plans if "Aggregate [" in t]
+    assert len(steps) > 6 and all("InMemoryRelation" in t for t in steps)
+    assert max(t.split("InMemoryRelation")[0].count("CASE") for t in steps) < 100
+    assert not spark.sparkContext._jsc.getPersistentRDDs()
