@@ -251,3 +251,18 @@ def test_a_fit_asks_for_short_code(spark, monkeypatch):
     assert len(steps) > 6 and all("InMemoryRelation" in t for t in steps)
     assert max(t.split("InMemoryRelation")[0].count("CASE") for t in steps) < 100
     assert not spark.sparkContext._jsc.getPersistentRDDs()
+
+
+def test_measured_joins_count_the_pairs_of_every_layout(spark):
+    from cutlearn.config import DistanceJoin, Environment, Workload
+
+    rows = CASES["lines"]
+    p = make(spark, rows)
+    spec = fit_grid(p, 4)
+    cost, w = MeasuredCost(p, spec, Environment(4), repeats=1), Workload((DistanceJoin(25, 1.0),))
+    for layout in (Layout.whole(4), baselines.uniform(spec, 4)):
+        cost.evaluate(layout, w)
+    assert cost.found[25][0] == len(brute(rows, 25))
+    cost.found[25] = (cost.found[25][0] - 1, cost.found[25][1])
+    with pytest.raises(RuntimeError):
+        cost.evaluate(baselines.uniform(spec, 2), w)
