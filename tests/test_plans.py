@@ -166,6 +166,53 @@ def test_salted_and_indexed_joins_spread_over_tasks(spark):
         spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
 
 
+def shuffled_rows(spark, df):
+    """Rows that the stages of a run write for a shuffle."""
+    store, sc = spark.sparkContext._jsc.sc().statusStore(), spark.sparkContext
+    sc.setJobGroup("shuffled", "shuffled")
+    before = set(sc.statusTracker().getJobIdsForGroup("shuffled"))
+    df.write.format("noop").mode("overwrite").save()
+    jobs = set(sc.statusTracker().getJobIdsForGroup("shuffled")) - before
+    stages = {k for j in jobs for k in sc.statusTracker().getJobInfo(j).stageIds}
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    rows = 0
+    for k in stages:
+        s = store.lastStageAttempt(k)
+        rows += s.shuffleWriteRecords() if str(s.status()) == "COMPLETE" else 0
+    return rows
+
+
+@pytest.mark.parametrize("name, most", [("djoin_salted", 8)])
+def test_dealt_joins_shuffle_few_copies(spark, name, most):
+    """A left row travels once to each task it has probes in, not once for each of its five probes."""
+    from cutlearn import catalog
+
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "64")
+    try:
+        df = catalog.QUERIES[name](spark, SF01)
+        assert 2 * 15_000 < shuffled_rows(spark, df) < most * 15_000
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
+@pytest.mark.parametrize("case", sorted(CASES))
+def test_dealt_joins_in_every_mode(spark, case):
+    rows = CASES[case]
+    p = make(spark, rows)
+    spec = fit_grid(p, 4)
+    layout = baselines.hist_kdb(dense(cell_histogram(p, spec), 4), 3)
+    far = {"l2": lambda u, v: u * u + v * v, "l1": lambda u, v: abs(u) + abs(v), "linf": lambda u, v: max(abs(u), abs(v))}
+    keep = {"unordered": lambda i, j: i < j, "ordered": lambda i, j: i != j, "with_self": lambda i, j: True}
+    for d, mode, metric, salt in ((50, "unordered", "l2", 3), (25, "ordered", "l1", 2), (25, "with_self", "linf", 1), (500, "unordered", "l1", 1)):
+        limit = d * d if metric == "l2" else d
+        want = sorted((i, j, far[metric](x - u, y - v)) for i, x, y in rows for j, u, v in rows if keep[mode](i, j) and far[metric](x - u, y - v) <= limit)
+        got = joins.distance_join(p, None, d, layout, spec, pairs=mode, metric=metric, salt=salt, deal="bucket")
+        assert sorted(map(tuple, got.collect())) == want
+        both = joins.distance_join(p, p, d, layout, spec, metric=metric, salt=salt, deal="bucket")
+        assert both.count() == sum(far[metric](x - u, y - v) <= limit for _, x, y in rows for _, u, v in rows)
+
+
 def test_brute_force_takes_any_number_of_points(spark):
     rows = [(k, (k * 7919) % 200_003 - 100_000, (k * 104_729) % 211 - 100) for k in range(10_500)]
     x, y = np.array(rows).T[1:]
