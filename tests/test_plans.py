@@ -182,7 +182,7 @@ def shuffled_rows(spark, df):
     return rows
 
 
-@pytest.mark.parametrize("name, most", [("djoin_salted", 8)])
+@pytest.mark.parametrize("name, most", [("djoin_salted", 8), ("djoin_bucket_dealt", 5)])
 def test_dealt_joins_shuffle_few_copies(spark, name, most):
     """A left row travels once to each task it has probes in, not once for each of its five probes."""
     from cutlearn import catalog
