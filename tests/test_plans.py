@@ -313,3 +313,17 @@ def test_measured_joins_count_the_pairs_of_every_layout(spark):
     cost.found[25] = (cost.found[25][0] - 1, cost.found[25][1])
     with pytest.raises(RuntimeError):
         cost.evaluate(baselines.uniform(spec, 2), w)
+
+
+@pytest.mark.parametrize("options", [{}, {"deal": "bucket"}, {"salt": 2, "strategy": "merge"}])
+def test_indexed_pairs_leave_tile_by_tile(spark, options):
+    """All pairs of two tiles leave in a row (by salt of the left one), not scattered over the left rows, so a file packs them well."""
+    rng = np.random.default_rng(5)
+    rows = [(k, int(x), int(y)) for k, (x, y) in enumerate(rng.integers(0, 1_600, (1_500, 2)))]
+    p = make(spark, rows)
+    spec = fit_grid(p, 4)
+    got = list(map(tuple, joins.distance_join(p, None, 400, Layout.whole(4), spec, **options).collect()))
+    assert sorted(got) == brute(rows, 400) and len(got) > 100_000
+    tile = [((x - spec.x0) // 100, (y - spec.y0) // 100) for _, x, y in rows]
+    met = [frozenset((tile[i], tile[j])) for i, j, _ in got]
+    assert 1 + sum(u != v for u, v in zip(met, met[1:])) <= 2 * options.get("salt", 1) * len(set(met))
