@@ -285,3 +285,19 @@ def test_training_on_measured_seconds(spark):
     assert [r.arm for r in got] == ["stop", "no_stop"]
     assert all(r.episodes == 2 and 0 < r.best_s and 0 < r.best_again_s and 0 < r.demo_again_s and r.layout.count("(") == 4 for r in got)
     assert got[1].stopped == 0
+
+
+def test_measured_training_is_the_whole_training(spark, monkeypatch):
+    """The query trains both arms by the published settings: all episodes, three runs of a join, the whole grid and network."""
+    from cutlearn import catalog
+    from cutlearn.learning.learner import TrainResult
+
+    seen = []
+
+    def train(self, demo, workload, cost):
+        seen.append((self.cfg.episodes, cost.repeats, len(self.encode.hist), self.cfg.hidden, self.cfg.wall_cap_s, self.cfg.exec_stop))
+        return TrainResult(demo.layout, (1.0,) * 3, (1.0,) * 3, None)
+
+    monkeypatch.setattr(Learner, "train", train)
+    got = catalog.QUERIES["train_measured"](spark, "/root/testdata/sf0.001").collect()
+    assert seen == [(5000, 3, 30, (1200, 600), 120 * 3600.0, stop) for stop in (True, False)] and len(got) == 2
