@@ -327,3 +327,28 @@ def test_indexed_pairs_leave_tile_by_tile(spark, options):
     tile = [((x - spec.x0) // 100, (y - spec.y0) // 100) for _, x, y in rows]
     met = [frozenset((tile[i], tile[j])) for i, j, _ in got]
     assert 1 + sum(u != v for u, v in zip(met, met[1:])) <= 2 * options.get("salt", 1) * len(set(met))
+
+
+def test_measured_joins_are_described_once_and_run_anew(spark, monkeypatch):
+    """One description of a join for all its runs, each of which runs every stage; a layout's cells go to the JVM in one call."""
+    from itertools import count
+    from types import SimpleNamespace
+
+    from pyspark.sql import functions as F
+
+    from cutlearn.config import DistanceJoin, Environment, Workload
+    from cutlearn.plans import cost as costs
+
+    p = make(spark, CASES["lines"])
+    spec, calls, lits, real, lit, runs = fit_grid(p, 4), [], [], joins.distance_join, F.lit, count()
+    monkeypatch.setattr(joins, "distance_join", lambda *a, **k: calls.append(a[2]) or real(*a, **k))
+    monkeypatch.setattr(costs.uuid, "uuid4", lambda: SimpleNamespace(hex=f"run-{next(runs)}"))
+    cost = MeasuredCost(p, spec, Environment(4), repeats=3, warm=True)
+    cost.evaluate(baselines.uniform(spec, 4), Workload((DistanceJoin(25, 0.5), DistanceJoin(10, 0.5))))
+    assert sorted(calls) == [10, 25]
+    tracker = spark.sparkContext.statusTracker()
+    jobs = [len(tracker.getJobIdsForGroup(f"cutlearn-run-{k}")) for k in range(6)]
+    assert min(jobs) > 1 and len(set(jobs)) == 1
+    monkeypatch.setattr(F, "lit", lambda v: lits.append(v) or lit(v))
+    Layout.whole(30).part(F.col("r"), F.col("c"))
+    assert len(lits) < 10
