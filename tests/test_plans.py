@@ -352,3 +352,29 @@ def test_measured_joins_are_described_once_and_run_anew(spark, monkeypatch):
     monkeypatch.setattr(F, "lit", lambda v: lits.append(v) or lit(v))
     Layout.whole(30).part(F.col("r"), F.col("c"))
     assert len(lits) < 10
+
+
+@pytest.mark.parametrize("mode", ["unordered", "ordered", "with_self"])
+def test_joins_by_place_find_a_pair_in_one_task_for_all_layouts(spark, mode):
+    rng = np.random.default_rng(6)
+    rows = [(k, int(x), int(y)) for k, (x, y) in enumerate(rng.integers(0, 3_000, (600, 2)))]
+    p = make(spark, rows)
+    spec = fit_grid(p, 6)
+    layouts = [Layout.whole(6), baselines.uniform(spec, 4), baselines.uniform(spec, 6)]
+    got = joins.distance_join(p, None, 90, layouts, spec, deal="place", tasks=12, pairs=mode).collect()
+    want = brute(rows, 90)
+    want += [(b, a, n) for a, b, n in want] * (mode != "unordered") + [(k, k, 0) for k, _, _ in rows] * (mode == "with_self")
+    for nth in range(3):
+        assert sorted((r.pid_a, r.pid_b, r.d2) for r in got if r.nth == nth) == sorted(want)
+    assert len({r.unit for r in got}) > 6 and len({(r.pid_a, r.pid_b, r.unit) for r in got}) == len(want)
+    with pytest.raises(ValueError):
+        joins.distance_join(p, None, 90, layouts, spec)
+
+
+def test_pairs_of_two_layouts_are_compared_where_they_are_found(spark):
+    from cutlearn import catalog
+
+    df = catalog.QUERIES["except_layouts"](spark, "/root/testdata/sf0.001")
+    exchanges = [x for x in df._jdf.queryExecution().executedPlan().toString().split("\n") if "Exchange " in x and "Broadcast" not in x]
+    assert sorted("REPARTITION_BY_NUM" in x for x in exchanges) == [False, True, True] and any("SinglePartition" in x for x in exchanges)
+    assert df.first().n == 0
